@@ -25,8 +25,8 @@ from pyspark.sql import functions as F
 
 from evenpart.sources.tables import read_table
 
-MAX_ROWS, MAX_CHARS, VOCABULARY, MIN_DOCS = 6000, 200_000, 2000, 4
-STEPS, RATE, L1, LEAN = 300, 0.1, 2e-5, 2.5
+MAX_ROWS, MAX_CHARS, VOCABULARY, MIN_DOCS = 10_000, 200_000, 2000, 4
+STEPS, RATE, L1, LEAN = 300, 0.1, 2e-5, 3.5
 
 _SENTENCE = re.compile(r"[.!?\n\r]+")
 _WORD = re.compile(r"[^\W_]+")
