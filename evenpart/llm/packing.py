@@ -84,7 +84,7 @@ class WordEncoder:
         new: set[bytes] = set()
         for t in texts:
             ws = self.words(t or "")
-            whole = any(s in w for s in self.special for w in ws if b"<|" in w)
+            whole = "<|" in (t or "") and any(s in w for s in self.special for w in ws)
             split.append(None if whole else ws)
             if not whole:
                 new.update(ws)
