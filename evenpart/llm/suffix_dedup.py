@@ -39,8 +39,9 @@ from evenpart.sources.tables import read_table
 SPAN, GRAM = 50, 16
 WIDTH = SPAN - GRAM + 1
 LEFT = SPAN - GRAM
-#: Bytes of text in a group, fewest groups, and occurrences that make an anchor hot.
-GROUP_BYTES, LEAST_GROUPS, HOT = 8 << 20, 24, 20_000
+#: Bytes of text in a group (a worker needs about 40 times that; raise it with the executors, to 256 MB for 100 TB, as the
+#: number of messages is groups times buckets), fewest groups, and occurrences that make an anchor hot.
+GROUP_BYTES, LEAST_GROUPS, HOT = 4 << 20, 24, 20_000
 NO_ID = np.iinfo(np.int64).max
 MESSAGE = "dest int, kind int, sender int, blob binary"
 DIGEST = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
@@ -358,8 +359,8 @@ def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     """
     total = docs.agg(F.sum(F.octet_length(docs[text]))).first()[0] or 0
     groups = max(LEAST_GROUPS, -(-total // group_bytes))
-    # a message should hold at least 64 hashes
-    buckets = int(max(1, min(groups, group_bytes // 20 // 64)))
+    # a message should hold a few hashes
+    buckets = int(max(1, min(groups, group_bytes // 20 // 4)))
     rows = docs.select(docs[doc_id].cast("long").alias("doc_id"), docs[text].alias("text"))
     dealt = rows.withColumn("dest", F.pmod(F.xxhash64("doc_id"), F.lit(groups)).cast("int"))
     by_group = dealt.groupBy("dest")
