@@ -89,7 +89,7 @@ def _slide(x: np.ndarray, width: int, best) -> np.ndarray:
 
 
 def anchors(buf: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Places and 64-bit hashes of the anchors of the documents in ``buf``, which end at ``ends``."""
+    """Places and 48-bit hashes (never 0) of the anchors of the documents in ``buf``, which end at ``ends``."""
     n = len(buf)
     if n < SPAN:
         return np.empty(0, np.int64), np.empty(0, np.uint64)
@@ -109,7 +109,7 @@ def anchors(buf: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     # the largest minimum among the strings around a place: its own hash if and only if it is an anchor
     around = _slide(np.concatenate([np.zeros(WIDTH - 1, np.uint64), low, np.zeros(WIDTH - 1, np.uint64)]), WIDTH, np.maximum)
     at = np.flatnonzero((around == x) & (x > 0))
-    return at, x[at]
+    return at, x[at] >> np.uint64(16) | np.uint64(1)
 
 
 class Group:
@@ -141,7 +141,13 @@ class Group:
 
 
 def _bucket(hashes: np.ndarray, buckets: int) -> np.ndarray:
-    return ((hashes >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)
+    # anchors are minima, so their hashes crowd at the low end: mix before dealing
+    with np.errstate(over="ignore"):
+        mixed = hashes * np.uint64(0x9E3779B97F4A7C15)
+    mixed ^= mixed >> np.uint64(29)
+    with np.errstate(over="ignore"):
+        mixed *= np.uint64(0xBF58476D1CE4E5B9)
+    return ((mixed >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)
 
 
 def _messages(rows: list[tuple]) -> pa.Table:
@@ -162,6 +168,8 @@ def _offer(group: Group, sender: int, buckets: int) -> pa.Table:
     distinct, several = h[first], (group.key[doc[first]] != group.key[doc[last]]).astype(np.uint8)
     count = np.minimum(last - first + 1, 65535).astype(np.uint16)
     rows, dest = [], _bucket(distinct, buckets)
+    order = np.lexsort((distinct, dest))
+    dest, distinct, several, count = dest[order], distinct[order], several[order], count[order]
     for b, part in _runs(dest):
         rows.append((b, 0, sender, _zip(_planes(np.diff(distinct[part], prepend=np.uint64(0))), several[part].tobytes(), _planes(count[part]))))
     return _messages(rows)
