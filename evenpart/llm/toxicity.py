@@ -80,10 +80,10 @@ def fit(rows: list[tuple[str, int]]) -> Model:
     y = np.array([t for _, t in rows], dtype=float)
     if not len(rows) or y.min() == y.max():
         return Model()
-    bags = [[set(_WORD.findall(s)) for s in _SENTENCE.split(text.lower()) if s.strip()] for text, _ in rows]
+    # the texts are read twice, so that no set of words outlives its document
     held: list[Counter] = [Counter(), Counter()]
-    for bag, label in zip(bags, y, strict=True):
-        held[int(label)].update(set().union(*bag))
+    for text, label in rows:
+        held[int(label)].update(set(_WORD.findall(text.lower())))
     n1, n0 = y.sum(), len(y) - y.sum()
 
     def lean(w: str) -> float:  # z-score of the log-odds of document counts
@@ -93,10 +93,11 @@ def fit(rows: list[tuple[str, int]]) -> Model:
     known = sorted((w for w in held[0].keys() | held[1].keys() if held[0][w] + held[1][w] >= MIN_DOCS), key=lambda w: (-lean(w), w))[:VOCABULARY]
     known = [w for w in known if lean(w) >= LEAN]
     place = {w: i for i, w in enumerate(known)}
+    held.clear()
     doc, sent, word = [], [], []
-    for d, bag in enumerate(bags):
-        for s in bag:
-            if hit := [place[w] for w in s if w in place]:
+    for d, (text, _) in enumerate(rows):
+        for s in _SENTENCE.split(text.lower()):
+            if hit := [place[w] for w in set(_WORD.findall(s)) if w in place]:
                 sent += [len(doc)] * len(hit)
                 word += hit
                 doc.append(d)
