@@ -291,7 +291,7 @@ def full_loop(vertices: DataFrame, eps: float, parts: int, checker: str = "codeg
     """The unmodified loop: stops when at most eps k^2 pairs are bad, and raises where its classes can't be split."""
     assign, k, trace = cut(initial_partition(vertices, parts)), parts, []
     while True:
-        found = cut(check_pairs(assign, eps, checker if m >= h else "density", edges, None if edges is not None else vertices, sigma))
+        found = cut(check_pairs(assign, eps, checker, edges, None if edges is not None else vertices, sigma))
         bad = found.where((F.col("status").isNotNull()) & (F.col("status") != blocks.UNIFORM)).count()
         trace.append({"iter": len(trace) + 1, "k": k, "bad": bad})
         if bad <= eps * k * k or len(trace) >= max_rounds:
