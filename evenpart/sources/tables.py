@@ -19,3 +19,28 @@ def read_edge_text(spark: SparkSession, path: str, sep: str = " ") -> DataFrame:
         part[0].cast("long").alias("a"), part[1].cast("long").alias("b"), F.coalesce(F.get(part, F.lit(2)).cast("double"), F.lit(1.0)).alias("w")
     )
     return raw.where("a <> b").select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"), "w")
+
+
+#: Formats that ``write_table`` and ``read_with`` know; the text ones need a schema to read.
+FORMATS = ("parquet", "orc", "json", "csv")
+
+
+def read_with(spark: SparkSession, path: str, form: str, schema: str) -> DataFrame:
+    """Rows of ``path`` under a stated schema; nothing is inferred from the data."""
+    if form not in FORMATS:
+        raise ValueError(f"{form}: one of {FORMATS}")
+    reader = spark.read.schema(schema)
+    return (reader.option("header", True) if form == "csv" else reader).format(form).load(path)
+
+
+def write_table(df: DataFrame, path: str, form: str = "parquet", partition_by: tuple[str, ...] = ()) -> None:
+    """Replace ``path`` by the rows, in folders by ``partition_by``; a run that is repeated leaves the same rows."""
+    if form not in FORMATS:
+        raise ValueError(f"{form}: one of {FORMATS}")
+    writer = df.write.mode("overwrite").format(form).partitionBy(*partition_by)
+    (writer.option("header", True) if form == "csv" else writer).save(path)
+
+
+def write_bucketed(df: DataFrame, table: str, buckets: int, *keys: str) -> None:
+    """A managed table whose joins and aggregations on ``keys`` need no shuffle."""
+    df.write.mode("overwrite").bucketBy(buckets, *keys).sortBy(*keys).saveAsTable(table)
