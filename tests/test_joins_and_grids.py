@@ -66,11 +66,18 @@ def test_grid_matches_one_setting_and_sizes(spark):
 
 def test_folds_cover_all(spark):
     assert {r.f for r in spark.range(500).select(fold_of(F.col("id")).alias("f")).distinct().collect()} == {0, 1, 2, 3, 4}
-    # folds of about 120 points: with fewer, classes of equal size are too coarse for three blobs
-    x, y = _blobs(600)
-    v = spark.createDataFrame([(i, [float(a) for a in p], str(t)) for i, (p, t) in enumerate(zip(x, y))], "vid long, x array<double>, y string")
-    rows = cross_validate(v, 3, [{"eps": 0.3, "fanout": 2, "pick": "max_gap", "keep": "last_valid"}]).collect()
-    assert [r.fold for r in sorted(rows)] == [1, 2, 3, 4] and all(r.accuracy >= r.majority + 40 for r in rows)
+    x, y = _blobs(200)
+    y = y.astype(str)
+    v = spark.createDataFrame([(i, [float(a) for a in p], t) for i, (p, t) in enumerate(zip(x, y.tolist()))], "vid long, x array<double>, y string")
+    tried = [{"eps": e, "fanout": f, "pick": "max_gap", "keep": "last_valid", "c": 3} for e, f in ((0.3, 2), (0.3, 4))]
+    place = np.array([r.f for r in v.select("vid", fold_of(F.col("vid")).alias("f")).orderBy("vid").collect()])
+    alone = lambda f, s: run_one(x[place == f], y[place == f], s)["accuracy"]
+    best = max(tried, key=lambda s: alone(0, s))
+    got = {r.fold: r for r in cross_validate(v, 3, [{k: a for k, a in s.items() if k != "c"} for s in tried]).collect()}
+    assert sorted(got) == [1, 2, 3, 4]
+    for f, r in got.items():
+        assert (r.eps, r.fanout, r.n) == (best["eps"], best["fanout"], (place == f).sum())
+        assert abs(r.accuracy - alone(f, best)) < 1e-9
 
 
 def test_standardise_constant(spark):
