@@ -257,7 +257,7 @@ def scores(table: np.ndarray) -> dict:
     expected = a * b / max(n * (n - 1) / 2, 1)
     return {
         "accuracy": 100 * hit / max(n, 1), "majority": 100 * cols.max() / max(n, 1), "purity": 100 * table.max(1).sum() / max(n, 1), "clusters": int((rows > 0).sum()),
-        "nmi": 0.0 if min(hr, hc) < 1e-12 else mutual / math.sqrt(hr * hc), "ari": 0.0 if a == b == index or (a + b) / 2 == expected else (index - expected) / ((a + b) / 2 - expected),
+        "nmi": 0.0 if min(hr, hc) < 1e-12 else mutual / math.sqrt(hr * hc), "ari": 0.0 if (a + b) / 2 == expected else (index - expected) / ((a + b) / 2 - expected),
     }
 
 
