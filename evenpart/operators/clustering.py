@@ -202,6 +202,23 @@ def landmark(vertices: DataFrame, c: int, sample: int = 300, seed: int = 42) ->
     return base.select("vid", "cluster").union(rest)
 
 
+def spectral_on_centroids(vertices: DataFrame, c: int, k: int, seed: int = 42) -> DataFrame:
+    """(vid, cluster): k-means compresses the points to ``k`` centres, spectral clustering groups the centres."""
+    from evenpart.operators.local import affinity
+
+    v = _vectors(vertices)
+    fitted = KMeans(k=k, seed=seed, featuresCol="features", predictionCol="cls").fit(v)
+    labels = blocks.spectral_labels(affinity(np.array(fitted.clusterCenters())), c, seed)  # k rows
+    return lift(fitted.transform(v).select("vid", (F.col("cls") + 1).alias("cls")), labels).select("vid", "cluster")
+
+
+def cost(partition: Partition) -> DataFrame:
+    """(iter, k, pairs, checked, cells, seconds) of each round: pairs looked at, pairs tested, cells they span."""
+    spark = partition.assign.sparkSession
+    rows = [(r["iter"], r["k"], r["pairs"], r["checked"], r["cells"], r["seconds"]) for r in partition.trace]
+    return spark.createDataFrame(rows, "iter int, k int, pairs long, checked long, cells long, seconds double")
+
+
 def power_iteration(edges: DataFrame, c: int) -> DataFrame:
     return PowerIterationClustering(k=c, maxIter=20, weightCol="w").assignClusters(edges).select(F.col("id").alias("vid"), "cluster")
 

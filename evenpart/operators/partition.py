@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 import numpy as np
@@ -86,6 +87,25 @@ def energy(stats: DataFrame, k: int) -> DataFrame:
     return stats.agg((s / (k * k)).alias("energy"), (s / max(k * (k - 1) / 2, 1)).alias("energy_norm"))
 
 
+def energy_mass(edges: DataFrame, assign: DataFrame) -> DataFrame:
+    """(energy_mass): d^2 over all ordered pairs of classes weighted by their cells, the classes themselves included.
+
+    Refining a partition without a residue never lowers it (a mean of squares is at least the square of the mean).
+    """
+    between = pair_density(edges, assign).select((2 * F.col("na") * F.col("nb") * F.col("d") * F.col("d")).alias("m"))
+    cells = F.col("n") * F.col("n")
+    within = self_density(edges, assign).select((4 * F.col("e") * F.col("e") / cells).alias("m"))
+    n = assign.where("cls > 0").agg(F.count("*").cast("double").alias("n"))
+    return between.union(within).agg(F.sum("m").alias("m")).join(F.broadcast(n)).select(F.coalesce(F.col("m") / (F.col("n") * F.col("n")), F.lit(0.0)).alias("energy_mass"))  # a row each
+
+
+def partition_is_uniform(assign: DataFrame, verdict: DataFrame, eps: float) -> DataFrame:
+    """(k, residue, bad, uniform): the definition as printed, a residue below eps n and at most eps k^2 bad pairs."""
+    sizes = assign.agg(F.countDistinct(F.when(F.col("cls") > 0, F.col("cls"))).alias("k"), F.count(F.when(F.col("cls") == 0, 1)).alias("residue"), F.count("*").alias("n"))
+    bad = verdict.where(F.col("status").isNotNull()).agg(F.count(F.when(F.col("status") != blocks.UNIFORM, 1)).alias("bad"))
+    return sizes.join(F.broadcast(bad)).select("k", "residue", "bad", ((F.col("residue") < eps * F.col("n")) & (F.col("bad") <= eps * F.col("k") * F.col("k"))).alias("uniform"))  # a row each
+
+
 def check_equitable(assign: DataFrame, eps: float) -> DataFrame:
     """(k, least, most, residue, n, equal, small_residue)."""
     sizes = assign.groupBy("cls").agg(F.count("*").alias("n"))
@@ -134,8 +154,17 @@ def frobenius_screen(stats: DataFrame, eps: float) -> DataFrame:
 def check_pairs(assign: DataFrame, eps: float, checker: str, edges: DataFrame | None = None, vertices: DataFrame | None = None, sigma: float | None = None, **options) -> DataFrame:
     """One row per pair (vid null: status, d, gap) and per witness vertex (vid, side class).
 
-    The members of a pair of classes meet with the edges between them, or with their features.
+    The members of a pair of classes meet with the edges between them, or with their features, in a dense block;
+    on edges ``density`` and ``power`` need no block, whatever the size of the classes.
     """
+    if edges is not None and checker == "density":  # no block is looked at
+        return pair_density(edges, assign).select("s", "t", F.lit(blocks.UNIFORM).alias("status"), "d", F.lit(0.0).alias("gap"), F.lit(None).cast("int").alias("side"), F.lit(None).cast("long").alias("vid"))
+    if checker == "power":
+        from evenpart.operators.power import check_power
+
+        if edges is None:
+            raise ValueError("power sweeps need an edge graph")
+        return check_power(edges, assign, eps, **options)
     placed = assign.where("cls > 0")
     k, most = placed.agg(F.max("cls"), F.max("n")).first() if "n" in placed.columns else (placed.agg(F.max("cls")).first()[0], placed.groupBy("cls").count().agg(F.max("count")).first()[0])
     if most * most > TILE_CELLS:
@@ -260,12 +289,15 @@ def practical_loop(
     assign = cut(initial_partition(vertices, fanout, seed=seed))
     k, m, trace, before = fanout, vertices.count() // fanout, [], None
     while True:
+        began = time.monotonic()
         row = {"iter": len(trace) + 1, "k": k, "m": m, "energy": None, "energy_norm": None, "pairs": k * (k - 1) // 2, "bad": None, "required": None, "stop": None}
+        row["cells"], row["checked"] = row["pairs"] * m * m, row["pairs"] if m >= h else 0
         trace.append(row)
         # the size comes first; the densities of the last partition are wanted anyway, so its pairs are measured too
         found = cut(check_pairs(assign, eps, checker if m >= h else "density", edges, None if edges is not None else vertices, sigma, **(options if m >= h else {})))
         verdict = found.where(F.col("status").isNotNull())
         s2, bad = verdict.agg(F.sum(F.col("d") * F.col("d")), F.sum((F.col("status") != blocks.UNIFORM).cast("int"))).first()
+        row["seconds"] = time.monotonic() - began
         row["energy"], row["energy_norm"] = (s2 or 0.0) / k**2, (s2 or 0.0) / max(row["pairs"], 1)
         if m < h:
             row["stop"] = "class_too_small"

@@ -6,7 +6,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evenpart.operators import graphs as G
+from evenpart.operators.clustering import median_scale, summary_graph
 from evenpart.operators.grids import cross_validate, grid
+from evenpart.operators.partition import check_pairs, initial_partition
 from evenpart.plans.scratch import cut
 from evenpart.queries.registry import registry
 from evenpart.sources.tables import read_table
@@ -35,6 +37,18 @@ def _pages(spark, sf):
     return cut(G.standardise(p.select(F.col("page_id").alias("vid"), G.text_shape(F.col("html")).alias("x"), "y")))
 
 
+def _segments(spark, sf):
+    """Customers by balance and by number, sum and mean price of their orders; the market segment is unrelated to these."""
+    o = read_table(spark, sf, "orders", "o_custkey", "o_totalprice").groupBy(F.col("o_custkey").alias("c_custkey")).agg(F.count("*").cast("double").alias("n"), F.sum("o_totalprice").alias("s"), F.avg("o_totalprice").alias("a"))
+    c = read_table(spark, sf, "customer", "c_custkey", "c_acctbal", "c_mktsegment").join(o, "c_custkey", "left").na.fill(0.0, ["c_acctbal", "n", "s", "a"])
+    return cut(G.standardise(c.select(F.col("c_custkey").alias("vid"), F.array("c_acctbal", "n", "s", "a").alias("x"), F.col("c_mktsegment").alias("y"))))
+
+
+def _part_types(spark, sf):
+    p = read_table(spark, sf, "part", "p_partkey", "p_size", "p_retailprice", "p_type")
+    return cut(G.standardise(p.select(F.col("p_partkey").alias("vid"), F.array(F.col("p_size").cast("double"), F.col("p_retailprice").cast("double")).alias("x"), F.col("p_type").alias("y"))))
+
+
 def _rings(spark):
     """Two rings of 200 points, one inside the other: shapes no centroid method separates."""
     v = spark.range(400).withColumn("a", F.col("id") * 2 * 3.141592653589793 / 200)
@@ -116,6 +130,7 @@ def head_to_head(tasks) -> DataFrame:
 
 
 query(name="exp_head_to_head")(lambda spark, sf: head_to_head(_tasks(spark, sf)))
+query(name="exp_relational_null")(lambda spark, sf: head_to_head([("segments", _segments(spark, sf), 5), ("part_types", _part_types(spark, sf), 6)]))
 query(name="exp_synthetic")(lambda spark, sf: head_to_head([("rings", _rings(spark), 2)]))
 
 
@@ -144,6 +159,24 @@ def exp_checker_agreement(spark: SparkSession, sf: str) -> DataFrame:
     return joint.join(one("a"), "eps").join(one("b"), "eps").select("eps", "n", F.round((total + 2 * F.col("ab") - F.col("pa") - F.col("pb")) / total, 6).alias("agreement"))
 
 
+@query()
+def exp_summary_literal(spark: SparkSession, sf: str) -> DataFrame:
+    """The summary as defined (uniform pairs above 1/2) beside all pairs by density: edges, and classes left without one."""
+    v, k, out = G.doc_vertices(spark, sf), 16, None
+    v, scale = cut(v), median_scale(v)
+    assign = cut(initial_partition(v, k))
+    classes = spark.range(1, k + 1).select(F.col("id").cast("int").alias("cls"))
+    for eps in (0.3, 0.5, 0.6):
+        verdict = cut(check_pairs(assign, eps, "sigma", None, v, scale).where("status IS NOT NULL"))
+        for edges in ("all", "uniform"):
+            g = summary_graph(verdict, edges, 0.5)
+            met = g.select(F.col("s").alias("cls")).union(g.select("t")).distinct()
+            row = g.agg(F.count("*").alias("edges")).join(F.broadcast(classes.join(met, "cls", "left_anti").agg(F.count("*").alias("isolated"))))  # a row each
+            row = row.select(F.lit(eps).alias("eps"), F.lit(edges).alias("summary"), F.lit(k).alias("k"), "edges", "isolated")
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query()
 def exp_scale(spark: SparkSession, sf: str) -> DataFrame:
     """Points, pairs of points and pairs of classes at a fixed number of classes: what the summary saves."""

@@ -207,6 +207,12 @@ def check_frobenius_screen(spark: SparkSession, sf: str) -> DataFrame:
     return P.frobenius_screen(P.pair_density(e, a), 0.3).select("s", "t", F.round("norm", 6).alias("norm"), F.round("edge", 6).alias("edge"), "settled")
 
 
+@query(f"{BASE}, i AS (SELECT cls AS c, sum(w)::DOUBLE AS e FROM e JOIN g a ON a.vid = src JOIN (SELECT vid, cls AS cb FROM g) b ON b.vid = dst WHERE cls = cb AND cls > 0 GROUP BY 1) SELECT round(((SELECT sum(2 * na * nb * d * d) FROM st) + (SELECT sum(4 * e * e / (n * n)) FROM sz JOIN i ON c = cls)) / (SELECT sum(n) * sum(n) FROM sz), 6)::DOUBLE AS energy_mass FROM (SELECT 1)")
+def energy_mass(spark: SparkSession, sf: str) -> DataFrame:
+    e, _, a = _graph(spark, sf)
+    return P.energy_mass(e, a).select(F.round("energy_mass", 6).alias("energy_mass"))
+
+
 EPS4 = 0.3**4
 DEG = f"bth AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), dg AS (SELECT o.s, y.cls AS t, y.vid, coalesce(c, 0) AS deg FROM g y JOIN (SELECT DISTINCT cls AS s FROM g WHERE cls > 0) o ON o.s < y.cls LEFT JOIN (SELECT b.src AS vid, x.cls AS s, count(*) AS c FROM bth b JOIN g x ON x.vid = b.dst GROUP BY 1, 2) q ON q.vid = y.vid AND q.s = o.s), mn AS (SELECT s, t, avg(deg) AS mean_deg, count(*) AS m FROM dg GROUP BY 1, 2), vd AS (SELECT s, t, m, mean_deg, count(*) FILTER (deg - mean_deg >= {EPS4!r} * m) AS n_high, count(*) FILTER (deg - mean_deg <= -{EPS4!r} * m) AS n_low FROM dg JOIN mn USING (s, t) GROUP BY 1, 2, 3, 4), ver AS (SELECT *, CASE WHEN mean_deg >= {0.3**3!r} * m AND n_high + n_low >= {EPS4 / 8!r} * m THEN 'WITNESS' ELSE 'UNIFORM' END AS status FROM vd)"
 
@@ -223,6 +229,12 @@ def check_degree_witness(spark: SparkSession, sf: str) -> DataFrame:
     return P.check_degree(e.withColumn("w", F.lit(1.0)), a, 0.3)[1]
 
 
+@query(f"{BASE}, {DEG} SELECT (SELECT count(*) FROM sz) AS k, (SELECT count(*) FROM g WHERE cls = 0) AS residue, (SELECT count(*) FROM ver WHERE status <> 'UNIFORM') AS bad, (SELECT count(*) FROM g WHERE cls = 0) < 0.3 * (SELECT count(*) FROM g) AND (SELECT count(*) FROM ver WHERE status <> 'UNIFORM') <= 0.3 * {K * K} AS uniform")
+def check_partition_uniform(spark: SparkSession, sf: str) -> DataFrame:
+    e, _, a = _graph(spark, sf)
+    return P.partition_is_uniform(a, P.check_degree(e.withColumn("w", F.lit(1.0)), a, 0.3)[0], 0.3)
+
+
 def _verdicts(checker, **options):
     def run(spark: SparkSession, sf: str) -> DataFrame:
         e, _, a = _graph(spark, sf)
@@ -234,6 +246,7 @@ def _verdicts(checker, **options):
 for _n, _f in {
     "check_codegree_verdicts": _verdicts("codegree"), "check_codegree_lemma_order": _verdicts("codegree", policy="lemma_order", anchors="typical"),
     "check_sigma_verdicts": _verdicts("sigma"), "check_sigma_noise_adjusted": _verdicts("sigma", noise_adjust=True),
+    "check_codegree_sampled": _verdicts("codegree", anchors=64), "check_sigma_power": _verdicts("power", sweeps=8),
 }.items():
     query(name=_n)(_f)
 
@@ -316,9 +329,17 @@ def _loop(spark, sf, **options):
 
 query(name="loop_a")(lambda spark, sf: _loop(spark, sf, checker="codegree"))
 query(name="loop_b")(lambda spark, sf: _loop(spark, sf, checker="sigma"))
+query(name="loop_cost")(lambda spark, sf: C.cost(P.practical_loop(v := G.doc_vertices(spark, sf), 0.3, 3, 30, sigma=C.median_scale(v))))
 query(name="loop_stop_k_squared")(lambda spark, sf: _loop(spark, sf, checker="sigma", stop_rule="k_squared"))
 
 
+@query()
+def loop_b_power(spark: SparkSession, sf: str) -> DataFrame:
+    """The spectral-norm loop on edges by power sweeps: no dense blocks."""
+    e, v, _ = _graph(spark, sf)
+    return _trace(spark, P.practical_loop(v, 0.3, 2, 40, "power", G.binarize(e, 1), sweeps=5, max_classes=8))
+
+
 @query()
 def loop_full_toy(spark: SparkSession, sf: str) -> DataFrame:
     v, e = G.planted(spark, 64, 2, 0.5, 0.5)
@@ -398,6 +419,7 @@ for _n, _f in {
     "base_spectral_full": lambda v: C.spectral(G.affinity_pairs(v, sigma=C.median_scale(v)), v, 4), "base_spectral_knn": lambda v: C.spectral(_knn_graph(v), v, 4),
     "base_spectral_knn_self_tuned": lambda v: C.spectral(_knn_graph(v, True), v, 4), "base_spectral_self_tuned": lambda v: C.spectral(G.affinity_pairs(v, scales=G.local_scales(v)), v, 4),
     "base_random_partition": _random, "base_pic": lambda v: C.power_iteration(_knn_graph(v), 4), "base_dominant_sets": lambda v: C.fit(v, 4, 0.3, 4, 20, method="dominant").labels,
+    "base_centroids_spectral": lambda v: C.spectral_on_centroids(v, 4, 64),
 }.items():
     query(name=_n)(_baseline(_f))
 

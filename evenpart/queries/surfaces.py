@@ -13,6 +13,7 @@ from evenpart.operators import clustering as C
 from evenpart.operators import graphs as G
 from evenpart.plans.scratch import shared_dir
 from evenpart.queries.registry import registry
+from evenpart.sources.planted import PlantedSource
 from evenpart.sources.tables import FORMATS, read_edge_text, read_table, read_with, write_table
 from evenpart.streaming import replay
 
@@ -118,3 +119,10 @@ def io_edge_text(spark: SparkSession, sf: str) -> DataFrame:
     path = f"{shared_dir(spark)}/evenpart-io-{uuid.uuid4().hex}"
     read_table(spark, sf, "events", F.concat_ws(" ", "user_id", "event_id").alias("value")).write.text(path)
     return read_edge_text(spark, path).distinct()
+
+
+@query("SELECT a.range AS src, b.range AS dst, 1.0::DOUBLE AS w FROM range(256) a JOIN range(256) b ON a.range < b.range WHERE ('0x' || substr(md5(a.range || ':' || b.range || ':42'), 1, 8))::BIGINT / 4294967296.0 < CASE WHEN a.range // 64 = b.range // 64 THEN 0.9 ELSE 0.1 END")
+def io_planted_source(spark: SparkSession, sf: str) -> DataFrame:
+    """A block graph read from the engine's own data source."""
+    spark.dataSource.register(PlantedSource)
+    return spark.read.format("planted").options(n=256, blocks=4).load()
