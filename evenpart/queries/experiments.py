@@ -145,6 +145,28 @@ def exp_five_fold(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
+@query()
+def exp_five_fold_wide(spark: SparkSession, sf: str) -> DataFrame:
+    """Five folds of three tasks; the learning fold also picks how the summary is clustered and which partition is kept."""
+    wide, out = [{**s, "method": m, "keep": keep} for s in _pairs() for m in ("proposed", "dominant") for keep in ("literal", "last_valid")], None
+    for name, points, c in [("quality", _labelled(spark, sf, "quality"), 2), ("toxic", _labelled(spark, sf, "toxic"), 2), ("roles", _turns(spark, sf), 3)]:
+        got = cross_validate(points, c, wide).groupBy("eps", "fanout", "method", "keep").agg(F.count("*").alias("folds"), F.round(F.avg("accuracy"), 4).alias("accuracy"), F.round(F.stddev_pop("accuracy"), 4).alias("deviation"), F.round(F.avg("majority"), 4).alias("majority"))
+        got = got.select(F.lit(name).alias("task"), "*")
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+@query()
+def exp_dominant_summary(spark: SparkSession, sf: str) -> DataFrame:
+    """The summary clustered by dominant sets instead of eigenvectors, on all tasks."""
+    out = None
+    for name, points, c in _tasks(spark, sf):
+        settings = [{**OURS, "eps": 0.3, "fanout": 4, "c": c, "method": m} for m in ("proposed", "dominant")]
+        got = grid(points, settings).select(F.lit(name).alias("task"), _field("method", "string"), "n", "k", *[F.round(s, 4).alias(s) for s in ("accuracy", "majority", "purity", "nmi", "ari")], "clusters")
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
 @query()
 def exp_checker_agreement(spark: SparkSession, sf: str) -> DataFrame:
     """How often the two checkers put a pair of points together or apart alike (pair counts from the table of labels)."""
