@@ -83,9 +83,9 @@ def duplicate_groups(docs: DataFrame, **options) -> DataFrame:
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns."""
-    kept = duplicate_groups(docs).where("kept").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi")
+    """The rows of ``docs`` that stay, with all their columns; rows of one id, null included, stay or go together."""
+    kept = duplicate_groups(docs).where("kept").select(F.col("doc_id").alias("_kept_id")).distinct()
+    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept_id")), "left_semi")
 
 
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

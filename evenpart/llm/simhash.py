@@ -163,9 +163,9 @@ def near_duplicates(docs: DataFrame, **columns) -> DataFrame:
 
 
 def keep_representatives(docs: DataFrame) -> DataFrame:
-    """The row with the smallest doc_id of each component, with all columns."""
-    kept = near_duplicates(docs).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi")
+    """The row with the smallest doc_id of each component, with all columns; rows of one id, null included, stay or go together."""
+    kept = near_duplicates(docs).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
+    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept_id")), "left_semi")
 
 
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
