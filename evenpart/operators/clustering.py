@@ -13,11 +13,9 @@ from pyspark.sql import functions as F
 
 from evenpart.functions import blocks
 from evenpart.operators import graphs
+from evenpart.operators.local import MOST_CLASSES
 from evenpart.operators.partition import Partition, check_pairs, initial_partition, practical_loop
 
-#: Classes whose k x k summary the driver may hold.
-MOST_CLASSES = 4096
-
 
 def median_scale(vertices: DataFrame, rows: int = 400, seed: int = 42) -> float:
     """Median distance over pairs of at most ``rows`` vertices, the smallest md5 of their ids."""

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from evenpart.functions import blocks
 from evenpart.operators.graphs import md5_coin
-from evenpart.operators.local import min_class
+from evenpart.operators.local import MOST_CLASSES, min_class
 from evenpart.plans.scratch import cut
 
 #: Cells of a dense block that one task may hold; larger classes need a larger first split.
@@ -282,12 +282,13 @@ class Partition:
 
 def practical_loop(
     vertices: DataFrame, eps: float, fanout: int, h: int | None = None, checker: str = "codegree", edges: DataFrame | None = None, sigma: float | None = None, stop_rule: str = "pair_fraction",
-    recycle: str = "class", pick: str = "random", min_parts: int = 0, keep: str = "literal", seed: int = 42, max_classes: int = 512, **options,
+    recycle: str = "class", pick: str = "random", min_parts: int = 0, keep: str = "literal", seed: int = 42, max_classes: int = MOST_CLASSES, **options,
 ) -> Partition:
     """Start, test the size, check all pairs, count, refine; every round is written, so lineage stays one round long."""
-    h = min_class(eps, fanout) if h is None else h
+    n = vertices.count()
+    h = max(min_class(eps, fanout) if h is None else h, -(-n // max_classes))
     assign = cut(initial_partition(vertices, fanout, seed=seed))
-    k, m, trace, before = fanout, vertices.count() // fanout, [], None
+    k, m, trace, before = fanout, n // fanout, [], None
     while True:
         began = time.monotonic()
         row = {"iter": len(trace) + 1, "k": k, "m": m, "energy": None, "energy_norm": None, "pairs": k * (k - 1) // 2, "bad": None, "required": None, "stop": None}

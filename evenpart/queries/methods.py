@@ -337,7 +337,7 @@ query(name="loop_stop_k_squared")(lambda spark, sf: _loop(spark, sf, checker="si
 def loop_b_power(spark: SparkSession, sf: str) -> DataFrame:
     """The spectral-norm loop on edges by power sweeps: no dense blocks."""
     e, v, _ = _graph(spark, sf)
-    return _trace(spark, P.practical_loop(v, 0.3, 2, 40, "power", G.binarize(e, 1), sweeps=5, max_classes=8))
+    return _trace(spark, P.practical_loop(v, 0.3, 2, 40, "power", G.binarize(e, 1)))
 
 
 @query()
