@@ -4,8 +4,9 @@ Each task packs the documents of its own input partition in one pass, so nothing
 
 * routing: full windows are cut off a document first; what is left goes to the shortest context tier that holds it
   (256, 512, 1024, 2048 by default);
-* packing: windows are opened by the longest waiting pieces, and the gap of each is filled from the shorter tiers,
-  largest fitting piece first; a gap of ``MIN_CUT`` ids or more is closed by cutting the next piece;
+* packing: each tier, the longest first, is packed into windows of its own size: its longest waiting piece opens one,
+  and the gap is filled from the waiting pieces, largest fitting one first, so from shorter tiers where its own has
+  none; a gap of ``MIN_CUT`` ids or more (of a window of 2048, in proportion below) is closed by cutting the next piece;
 * the last, partly filled window of a task is cut into sequences whose lengths are powers of two, which need no padding;
 * step groups: the sequences of each packed lot are dealt to groups in snake order of their length, so that groups
   carry nearly the same number of ids.
@@ -115,6 +116,7 @@ class Packer:
         self.made: list[list] = []
         self.open: list = []
         self.tail: list = []
+        self.tail_room = window
         self.rows: list[tuple] = []
         self.n = 0
 
@@ -146,14 +148,15 @@ class Packer:
         return None
 
     def flush(self, last: bool) -> None:
-        """Pack what waits; unless ``last``, a window that nothing fills goes on waiting as its pieces."""
+        """Pack what waits, a window of its own size for each tier; unless ``last``, a window that nothing fills goes on waiting."""
         while self.waiting:
-            seq, gap = self.tail, self.window - sum(len(p[2]) // 4 for p in self.tail)
+            room = self.tail_room if self.tail else next(t for t in reversed(self.tiers) if self.queues[t])
+            seq, gap, least = self.tail, room - sum(len(p[2]) // 4 for p in self.tail), max(1, MIN_CUT * room // self.window)
             self.tail = []
             while gap:
                 got = self._take(gap)
                 if got is None:
-                    if not self.waiting or gap < MIN_CUT:
+                    if not self.waiting or gap < least:
                         break
                     got = self._take(self.window)  # longer than the gap: cut it
                     doc, start, ids, total = got[2]
@@ -163,8 +166,8 @@ class Packer:
                     got = (gap, 0, (doc, start, ids[: 4 * gap], total))
                 seq.append(got[2])
                 gap -= got[0]
-            if gap >= MIN_CUT:
-                self.tail = seq  # nothing waits any more
+            if gap >= least:
+                self.tail, self.tail_room = seq, room  # nothing waits any more
             else:
                 self.made.append(seq)
         if last and self.tail:
