@@ -25,6 +25,7 @@ import re
 import zlib
 from bisect import bisect_right, insort
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark import TaskContext
@@ -37,6 +38,8 @@ WINDOW, TIERS, END_ID = 2048, (256, 512, 1024, 2048), 1
 MIN_CUT = 16
 LOT, STEP_SEQUENCES, CACHE_WORDS = 4096, 64, 1_000_000
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long"
+#: What ``pack`` gives: the digest's columns and the ids themselves.
+PIECES = f"{SCHEMA}, ids array<int>"
 
 #: A full stop or comma that may belong to a run of punctuation.
 _UNSAFE = re.compile(rb"(?<![A-Za-z0-9])(?<!\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])[.,](?=[ \n])")
@@ -206,7 +209,7 @@ class Packer:
             tier = next(t for t in self.tiers if size <= t)
             for doc, start, ids, total in seq:
                 n = len(ids) // 4
-                self.rows.append((doc, start, n, zlib.crc32(ids), total, self.base + self.sequences, offset, tier, self.base + self.groups + group[i]))
+                self.rows.append((doc, start, n, zlib.crc32(ids), total, self.base + self.sequences, offset, tier, self.base + self.groups + group[i], ids))
                 offset += n
             self.sequences += 1
         self.groups += groups if self.made else 0
@@ -218,16 +221,19 @@ class Packer:
 
 
 def pack(docs: DataFrame, tokenizer_path: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row per piece."""
+    """One row per piece, with its ids."""
     end = END_ID.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = encoder(tokenizer_path)
-        schema = pa.schema([(n, pa.int32() if t == "int" else pa.int64()) for n, t in (c.split(" ") for c in SCHEMA.split(", "))])
+        schema = pa.schema([(n, pa.int32() if t == "int" else pa.int64()) for n, t in (c.split(" ") for c in SCHEMA.split(", "))] + [("ids", pa.list_(pa.int32()))])
         packer = Packer(TaskContext.get().partitionId() << 32)
 
         def out(rows: list[tuple]) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
+            *columns, ids = zip(*rows, strict=True)
+            edges = pa.array(list(accumulate((len(x) // 4 for x in ids), initial=0)), pa.int32())
+            flat = pa.Array.from_buffers(pa.int32(), edges[-1].as_py(), [None, pa.py_buffer(b"".join(ids))])
+            return pa.RecordBatch.from_arrays([*[pa.array(c, type=f.type) for c, f in zip(columns, schema, strict=False)], pa.ListArray.from_arrays(edges, flat)], schema=schema)
 
         for batch in batches:
             for lo in range(0, batch.num_rows, 512):
@@ -240,7 +246,7 @@ def pack(docs: DataFrame, tokenizer_path: str, doc_id: str = "doc_id", text: str
         if packer.rows:
             yield out(packer.drain())
 
-    return docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text")).mapInArrow(run, SCHEMA)
+    return docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text")).mapInArrow(run, PIECES)
 
 
 def vocabulary_path() -> str:
@@ -250,4 +256,4 @@ def vocabulary_path() -> str:
 
 
 def op9_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(read_table(spark, sf_dir, "documents", "doc_id", "text"), vocabulary_path())
+    return pack(read_table(spark, sf_dir, "documents", "doc_id", "text"), vocabulary_path()).drop("ids")

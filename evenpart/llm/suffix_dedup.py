@@ -44,7 +44,7 @@ LEFT = SPAN - GRAM
 GROUP_BYTES, LEAST_GROUPS, HOT = 4 << 20, 24, 20_000
 NO_ID = np.iinfo(np.int64).max
 MESSAGE = "dest int, kind int, sender int, blob binary"
-DIGEST = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
+CLEANED = "doc_id long, n_bytes long, kept binary, spans array<struct<start: long, stop: long>>"
 
 
 # ---- coding -----------------------------------------------------------------------------------------------
@@ -338,7 +338,7 @@ def _mark(table: pa.Table) -> pa.Table:
 
 
 def _cut(group: Group, marks: pa.Table) -> pa.Table:
-    """Step 4: the digest of every document of the group."""
+    """Step 4: the kept bytes of every document of the group, and the spans taken out."""
     ranges: dict[int, list[tuple[int, int]]] = {}
     for blob in marks.column("blob").to_pylist():
         d, a, b = (_unplanes(x, "<u4").tolist() for x in _unzip(blob))
@@ -346,22 +346,25 @@ def _cut(group: Group, marks: pa.Table) -> pa.Table:
             ranges.setdefault(i, []).append((lo, hi))
     out = []
     for i, (doc, text) in enumerate(zip(group.ids, group.texts, strict=True)):
-        kept, done, removed, spans = hashlib.sha256(), 0, 0, 0
+        kept, done, spans = [], 0, []
         for lo, hi in sorted(ranges.get(i, ())):
             if lo > done or not spans:  # a new run; touching ranges are one
-                kept.update(text[done:lo])
-                spans, removed, done = spans + 1, removed + hi - lo, hi
+                kept.append(text[done:lo])
+                spans.append({"start": lo, "stop": hi})
+                done = hi
             elif hi > done:
-                removed, done = removed + hi - done, hi
-        kept.update(text[done:])
-        out.append((doc, len(text), removed, spans, kept.hexdigest()))
-    cols = zip(*out, strict=True) if out else [[]] * 5
-    kinds = (pa.int64(),) * 4 + (pa.string(),)
-    return pa.table({n.split(" ")[0]: pa.array(c, t) for n, c, t in zip(DIGEST.split(", "), cols, kinds, strict=True)})
+                spans[-1]["stop"] = done = hi
+        kept.append(text[done:])
+        out.append((doc, len(text), b"".join(kept), spans))
+    cols = zip(*out, strict=True) if out else [[]] * 4
+    kinds = (pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())])))
+    return pa.table({n.split(" ")[0]: pa.array(c, t) for n, c, t in zip(("doc_id", "n_bytes", "kept", "spans"), cols, kinds, strict=True)})
 
 
-def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", group_bytes: int = GROUP_BYTES, hot: int = HOT) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row of ``docs``.
+def cleaned(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", group_bytes: int = GROUP_BYTES, hot: int = HOT) -> DataFrame:
+    """doc_id, n_bytes, kept, spans for every row of ``docs``: the bytes that stay, and the byte ranges taken out.
+
+    ``kept`` is binary, since a range may begin or end inside a character.
 
     The documents' exchange is the same in the three steps that read it, so it runs once.
     """
@@ -385,7 +388,13 @@ def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     replies = by_group.applyInArrow(offer, MESSAGE).groupBy("dest").applyInArrow(lambda t: _answer(t, hot), MESSAGE)
     sent = by_group.cogroup(replies.groupBy("dest")).applyInArrow(contexts, MESSAGE)
     marks = sent.groupBy("dest").applyInArrow(lambda t: _mark(t), MESSAGE)
-    return by_group.cogroup(marks.groupBy("dest")).applyInArrow(cutting, DIGEST)
+    return by_group.cogroup(marks.groupBy("dest")).applyInArrow(cutting, CLEANED)
+
+
+def remove_repeats(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row of ``docs``: the digest of ``cleaned``."""
+    removed = F.aggregate("spans", F.lit(0).cast("long"), lambda n, s: n + s["stop"] - s["start"])
+    return cleaned(docs, **options).select("doc_id", "n_bytes", removed.alias("n_removed"), F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
 
 
 def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

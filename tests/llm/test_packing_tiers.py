@@ -15,7 +15,7 @@ def test_tiers_have_their_own_windows():
         packer.add(i, np.arange(n, dtype="<u4").tobytes())
     packer.flush(True)
     length, tier, group, pieces = Counter(), {}, {}, {}
-    for doc, start, n, _, _, seq, offset, t, g in packer.drain():
+    for doc, start, n, _, _, seq, offset, t, g, *_ in packer.drain():
         assert offset == length[seq]
         length[seq] += n
         tier[seq], group[seq] = t, g
