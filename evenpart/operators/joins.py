@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -36,3 +36,26 @@ def within(rows: DataFrame, key: str, ts: str, row_id: str, seconds: int) -> Dat
     b = rows.select(key, F.col(row_id).alias("b"), F.col(ts).alias("tb"), step.alias("_step"))
     end = F.col("ta") + F.expr(f"INTERVAL {seconds} SECONDS")
     return a.join(b, [key, "_step"]).where((F.col("a") < F.col("b")) & (F.col("tb") >= F.col("ta")) & (F.col("tb") <= end)).select("a", "b")
+
+
+def spread_lookup(rows: DataFrame, table: DataFrame, keys: list[str], by: list[str], spread: int = 64) -> DataFrame:
+    """``rows`` with the columns of ``table`` (one row a key); rows without a key in ``table`` go.  Keys aren't null.
+
+    A key may hold a third of all rows: its rows are dealt over ``spread`` parts by the columns ``by``, and the row of
+    ``table`` travels to those parts only that hold the key, which the map side finds before anything is shuffled.
+    """
+    salted = rows.withColumn("_salt", F.pmod(F.xxhash64(*by), F.lit(spread)))
+    wide = salted.select(*keys, "_salt").distinct().join(table, keys)
+    return salted.join(wide, [*keys, "_salt"]).drop("_salt")
+
+
+def spread_groups(rows: DataFrame, keys: list[str], by: list[str], aggregates: dict[str, tuple[Column, Column]], spread: int = 64) -> DataFrame:
+    """``rows`` with aggregates of their group; ``aggregates`` are name -> (over rows, over the partial results of that name).
+
+    Groups of any size are summed in two steps, over ``spread`` parts first, and each part gets its group's result once.
+    """
+    salted = rows.withColumn("_salt", F.pmod(F.xxhash64(*by), F.lit(spread)))
+    parts = salted.groupBy(*keys, "_salt").agg(*[first.alias(name) for name, (first, _) in aggregates.items()])
+    whole = parts.groupBy(*keys).agg(*[then.alias(name) for name, (_, then) in aggregates.items()])
+    wide = parts.select(*keys, "_salt").join(whole, keys)
+    return salted.join(wide, [*keys, "_salt"]).drop("_salt")

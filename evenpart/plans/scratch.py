@@ -2,7 +2,7 @@
 
 ``cut`` writes a frame there and reads it back: lineage ends, the rows are computed once, and a lost executor
 costs a re-read only.  The folder comes from the session (``spark.checkpoint.dir``, else the context's checkpoint
-directory); a temporary one is set only where neither exists, as in local tests.
+directory); a temporary one is set only where neither exists and all tasks run in this process, as in local tests.
 """
 
 from __future__ import annotations
@@ -23,6 +23,8 @@ def shared_dir(spark: SparkSession) -> str:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = held.get() if held.isDefined() else None
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = tempfile.mkdtemp(prefix="evenpart-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
