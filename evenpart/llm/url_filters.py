@@ -6,8 +6,13 @@ each of them as a whole token.  One pass counts those tokens over all addresses;
 one.  An address then looks its own tokens up in a hash-bucketed index (a constant of the plan), and only the rules
 so fetched run their regular expressions.  The whole judgement is a projection: no shuffle, no join, no Python.
 
-Defined results: a null address, or one without ``://``, has empty host and path, fits no rule and is allowed; repeated
-rows are judged alike; an empty table gives no rows; columns other than the address pass through untouched.
+Rules beyond ``PLAN_RULES`` go into further passes over the rows, each with an index of its own, and the best rule of
+all passes wins: their number has no limit.
+
+Defined results: a null address, or one without ``://``, has empty host and path, fits no rule and is allowed; an address
+of any length is judged whole; of rules that tie in tier and length the smaller label wins; repeated rows are judged
+alike; an empty table gives no rows; columns other than the address pass through, but for those called host, path, rule,
+pattern, verdict or n_candidates, which the results of those names replace.
 """
 
 from __future__ import annotations
@@ -19,11 +24,13 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evenpart.llm.columns import fresh
+from evenpart.plans.scratch import cut
 from evenpart.sources.tables import read_table
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: The rule set is a constant inside the plan; this many rules keep the plan within a few MB.
-MAX_RULES = 20_000
+#: Rules of one pass: they are a constant inside the plan, and this many keep it within a few MB.
+PLAN_RULES = 20_000
 INDEX_TYPE = "array<array<struct<token:string,regex:string,rule:string,action:string,tier:int,size:int>>>"
 
 
@@ -84,8 +91,6 @@ def token_counts(urls: DataFrame, rules: list[Rule], url: str = "url") -> dict[s
 
 def build_index(rules: list[Rule], counts: dict[str, int]) -> tuple[list[list[dict]], list[dict]]:
     """Hash buckets of rules by rarest token, and the rules without a delimited token, which always run."""
-    if len(rules) > MAX_RULES:
-        raise ValueError(f"{len(rules)} rules; at most {MAX_RULES} fit in the plan")
     filed, always = [], []
     for r in rules:
         row = {"token": min(r.tokens, key=lambda t: (counts.get(t, 0), t)) if r.tokens else "", "regex": r.regex, "rule": r.label, "action": r.action, "tier": r.tier, "size": len(r.label)}
@@ -103,35 +108,47 @@ def _bucket(token: str, n: int) -> int:
     return zlib.crc32(token.encode()) % n
 
 
-def judge(urls: DataFrame, rules: list[Rule], url: str = "url") -> DataFrame:
-    """``urls`` with host, path, rule, verdict, pattern (the fitting rule of lower tier) and n_candidates."""
-    buckets, always = build_index(rules, token_counts(urls, rules, url))
+def _let(value: Column, body) -> Column:
+    """``body`` of a value that is evaluated once."""
+    return F.transform(F.array(value), body)[0]
+
+
+def _best(rules: list[Rule], counts: dict[str, int], target: Column) -> Column:
+    """(n, top): how many rules the index hands out for ``target``, and the best of those that fit."""
+    buckets, always = build_index(rules, counts)
     index = F.from_json(F.lit(json.dumps(buckets)), INDEX_TYPE)
     rest = F.from_json(F.lit(json.dumps([always])), INDEX_TYPE)[0]
-    host, path = split_url(F.col(url))
-    let = lambda value, body: F.transform(F.array(value), body)[0]  # noqa: E731  binds a value once inside an expression
 
-    def fetched(target: Column) -> Column:
-        hits = F.transform(url_tokens(target), lambda t: F.filter(index[F.pmod(F.crc32(t.cast("binary")), F.lit(len(buckets))).cast("int")], lambda r: r["token"] == t))
+    def fetched(t: Column) -> Column:
+        hits = F.transform(url_tokens(t), lambda k: F.filter(index[F.pmod(F.crc32(k.cast("binary")), F.lit(len(buckets))).cast("int")], lambda r: r["token"] == k))
         return F.concat(F.flatten(hits), rest)
 
-    def best(target: Column) -> Column:
-        fit = F.filter(fetched(target), lambda r: F.call_function("rlike", target, r["regex"]))
-        return F.struct(
-            F.size(fetched(target)).alias("n"),
-            F.array_min(F.transform(fit, lambda r: F.struct((-r["tier"]).alias("t"), (-r["size"]).alias("s"), r["rule"].alias("rule"), r["action"].alias("action")))).alias("top"),
-        )
-
-    out = urls.withColumns({"host": host, "path": path, "_top": let(F.concat(host, path), best)})
-    site = F.col("_top.top.t") == -2
-    return out.withColumns(
-        {
-            "rule": F.when(site, F.col("_top.top.rule")),
-            "pattern": F.when(~site, F.col("_top.top.rule")),
-            "verdict": F.coalesce(F.col("_top.top.action"), F.lit("allow")),
-            "n_candidates": F.col("_top.n"),
-        }
-    ).drop("_top")
+    def best(t: Column) -> Column:
+        fit = F.filter(fetched(t), lambda r: F.call_function("rlike", t, r["regex"]))
+        top = F.array_min(F.transform(fit, lambda r: F.struct((-r["tier"]).alias("t"), (-r["size"]).alias("s"), r["rule"].alias("rule"), r["action"].alias("action"))))
+        return F.struct(F.size(fetched(t)).alias("n"), top.alias("top"))
+
+    return _let(target, best)
+
+
+def judge(urls: DataFrame, rules: list[Rule], url: str = "url", plan_rules: int = PLAN_RULES) -> DataFrame:
+    """``urls`` with host, path, rule, verdict, pattern (the fitting rule of lower tier) and n_candidates."""
+    counts, (top,) = token_counts(urls, rules, url), fresh(urls, "_top")
+    host, path = split_url(F.col(url))
+    for lo in range(0, max(len(rules), 1), plan_rules):
+        here = _best(rules[lo : lo + plan_rules], counts, F.concat(host, path))
+        if lo:  # the smaller struct is the better rule, and least() passes over nulls
+            here = _let(here, lambda h: F.struct((F.col(top)["n"] + h["n"]).alias("n"), F.least(F.col(top)["top"], h["top"]).alias("top")))
+        urls = urls.withColumn(top, here)
+        if lo + plan_rules < len(rules):
+            urls = cut(urls)
+    found = F.col(top)["top"]
+    site = found["t"] == -2
+    made = {
+        "rule": F.when(site, found["rule"]), "pattern": F.when(~site, found["rule"]), "verdict": F.coalesce(found["action"], F.lit("allow")), "n_candidates": F.col(top)["n"],
+        "host": host, "path": path,
+    }
+    return urls.withColumns(made).drop(top)
 
 
 def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
