@@ -10,8 +10,12 @@ by bit.  A bucket gives a spanning forest of its links, not all its pairs.
 A bucket with more than ``BUCKET`` members is dealt into parts, and every two parts meet in a task of their own, so no
 task ever holds more than two parts; all pairs of parts are searched, so nothing is capped.
 
+Components return to the rows by ``spread_groups``: a fingerprint that a third of all rows share is no hot key.
+
 Defined results: null text is empty; texts without words have fingerprint zero and are linked like any other; rows that
-repeat a doc_id are linked by their fingerprints; an empty table gives no rows.
+repeat a doc_id are linked by their fingerprints, and ``keep_representatives`` keeps one row of a component, the smallest
+text where the smallest id has several; a null doc_id is larger than any id; a text of any length is read whole, one
+word list at a time; any integer type serves as doc_id; an empty table gives no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -24,7 +28,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evenpart.llm.columns import stay, text_key
 from evenpart.operators.components import connected_components
+from evenpart.operators.joins import spread_groups, spread_lookup
 from evenpart.plans.scratch import cut
 from evenpart.sources.tables import read_table
 
@@ -62,14 +68,14 @@ def fingerprint(text: str | None, shingle: int = SHINGLE, seed: int = SEED) -> b
 
 
 def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, fp): the fingerprint as a signed long with the same bits."""
+    """(doc_id, raw, fp): the key of the original text, and the fingerprint as a signed long with the same bits."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            got = b"".join([fingerprint(t.as_py()) for t in batch.column(1)])
+            got = b"".join([fingerprint(t.as_py()) for t in batch.column(2)])
             fp = np.frombuffer(got, dtype=">u8").astype(np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp)], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fp)], names=["doc_id", "raw", "fp"])
 
-    return docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(docs[doc_id].cast("long").alias("doc_id"), text_key(docs[text]).alias("raw"), docs[text].alias("text")).mapInArrow(run, "doc_id long, raw string, fp long")
 
 
 def _block(fp: Column, i: int) -> Column:
@@ -150,22 +156,27 @@ def links(distinct: DataFrame, bucket: int = BUCKET) -> DataFrame:
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
-def near_duplicates(docs: DataFrame, **columns) -> DataFrame:
-    """doc_id, fingerprint, component_id for every row of ``docs``."""
+def _components(docs: DataFrame, **columns) -> DataFrame:
+    """doc_id, raw, fp and first (whether the id is null, doc_id, raw of the row that stands for the component) of every row."""
     rows = cut(fingerprints(docs, **columns))
-    distinct = cut(rows.groupBy("fp").agg(F.min("doc_id").alias("first")))
-    linked = links(distinct)
-    roots = connected_components(linked)
+    order = F.struct(F.col("doc_id").isNull().alias("x"), F.col("doc_id").alias("d"), F.col("raw").alias("r"))
+    distinct = cut(rows.groupBy("fp").agg(F.min(order).alias("first")))
+    roots = connected_components(links(distinct.select("fp")))
     named = distinct.join(roots.withColumnRenamed("v", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    smallest = named.groupBy("root").agg(F.min("first").alias("component_id"))
-    known = named.join(smallest, "root").select("fp", "component_id")
-    return rows.join(known, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    known = spread_groups(named.withColumnRenamed("first", "own"), ["root"], ["fp"], {"first": (F.min("own"), F.min("first"))})
+    return spread_lookup(rows, known.select("fp", "first"), ["fp"], ["doc_id", "raw"])
+
+
+def near_duplicates(docs: DataFrame, **columns) -> DataFrame:
+    """doc_id, fingerprint, component_id for every row of ``docs``."""
+    return _components(docs, **columns).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), F.col("first.d").alias("component_id"))
 
 
 def keep_representatives(docs: DataFrame) -> DataFrame:
-    """The row with the smallest doc_id of each component, with all columns; rows of one id, null included, stay or go together."""
-    kept = near_duplicates(docs).where("doc_id <=> component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept_id")), "left_semi")
+    """One row of each component with all its columns: the smallest doc_id, then the smallest text key, then the smallest row."""
+    rows = _components(docs).where(F.col("doc_id").eqNullSafe(F.col("first.d")) & (F.col("raw") == F.col("first.r")))
+    kept = cut(rows.groupBy("doc_id", "raw").agg(F.count("*").alias("n")))
+    return stay(docs, kept.select("doc_id", "raw"), kept.where("n > 1").select("doc_id", "raw"))
 
 
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
