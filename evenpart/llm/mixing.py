@@ -7,12 +7,13 @@ weights become token budgets.  Every source is dealt into blocks of about ``bloc
 epoch is a keyed permutation of its blocks and of the rows in each block; a budget takes whole epochs and then a
 prefix of the next permutation, cut inside one block at the row where the budget is spent.
 
-Prefix sums run over block totals first and over rows of one block after, so that no task sees more than one block's
-rows, or one source's block totals, at a time.  Everything is DataFrame functions.
+Prefix sums run over slices of a source's permutation first, over the block totals of a slice then, and over the rows of
+the block of the cut at last, so that no task orders all blocks of a source.  Everything is DataFrame functions.
 
 Defined results: a null source is a source of its own; null and empty texts hold no tokens and follow their source's
-whole epochs (kept when the budget holds at least one epoch, or when their place comes before the cut); equal rows are
-told apart by nothing and are taken together; an empty table gives no rows; an empty source cannot occur.
+whole epochs (kept when the budget holds at least one epoch, or when their place comes before the cut); rows of one id and
+source are told apart by nothing and are taken together; a text of any length is counted whole; an empty table gives no
+rows; an empty source cannot occur; other columns, whatever their names, are not read, and ``realise`` returns them.
 """
 
 from __future__ import annotations
@@ -20,12 +21,17 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from evenpart.llm.columns import fresh
 from evenpart.plans.scratch import cut
 from evenpart.sources.tables import read_table
 
 WORD = r"[^\x20\x09-\x0D]+"
 BISECTIONS = 60
 BLOCK_ROWS = 1000
+#: A source's permutation is cut into 4096 slices by the top bits of its block keys.
+SLICE_BITS = 12
+#: Sources whose weights are sent to all tasks; more are joined by a shuffle.
+MOST_SENT = 100_000
 
 
 def n_tokens(text: Column) -> Column:
@@ -114,16 +120,23 @@ def mix(
             F.coalesce(F.col("budget"), F.lit(0.0)).alias("budget"),
         )
     )
-    # a row of plan per source: far smaller than the rows, but not bounded, so the planner picks the join
-    dealt = rows.join(plan, F.col("source").eqNullSafe(F.col("s"))).drop("s")
+    # a row of plan per source: sent to all tasks up to a checked number of sources
+    few = plan.limit(MOST_SENT + 1).count() <= MOST_SENT
+    dealt = rows.join(F.broadcast(plan) if few else plan, F.col("source").eqNullSafe(F.col("s"))).drop("s")
     row_key = F.xxhash64("doc_id", F.lit(seed))
     dealt = dealt.withColumn("row_key", row_key).withColumn("block", F.pmod(row_key, "n_blocks")).withColumn("block_key", F.xxhash64("block", "source", F.col("whole"), F.lit(seed)))
     block = ["source", "block_key", "block"]
     sums = dealt.groupBy(*block).agg(F.sum("tokens").alias("block_tokens"), F.first("budget").alias("budget"), F.first("whole").alias("whole"), F.first("source_tokens").alias("source_tokens"))
-    before = F.sum("block_tokens").over(Window.partitionBy("source").orderBy("block_key", "block").rowsBetween(Window.unboundedPreceding, -1))
+    # prefix sums in two steps, so that no task orders all blocks of a source: its slices first, then the blocks of a slice
+    sums = cut(sums.withColumn("slice", F.shiftrightunsigned(F.col("block_key").bitwiseXOR(F.lit(-(2**63))), 64 - SLICE_BITS)))
+    slices = sums.groupBy("source", "slice").agg(F.sum("block_tokens").alias("slice_tokens"))
+    ahead = F.sum("slice_tokens").over(Window.partitionBy("source").orderBy("slice").rowsBetween(Window.unboundedPreceding, -1))
+    slices = slices.select(F.col("source").alias("s"), F.col("slice").alias("l"), F.coalesce(ahead, F.lit(0)).alias("ahead"))
+    before = F.sum("block_tokens").over(Window.partitionBy("source", "slice").orderBy("block_key", "block").rowsBetween(Window.unboundedPreceding, -1))
     rest = F.col("budget") - F.col("whole") * F.col("source_tokens")
-    blocks = sums.select(*block, "block_tokens", (rest - F.coalesce(before, F.lit(0))).alias("left"))
-    placed = dealt.join(blocks.withColumnRenamed("source", "s").withColumnRenamed("block", "b").withColumnRenamed("block_key", "k"), F.col("source").eqNullSafe(F.col("s")) & (F.col("block") == F.col("b")) & (F.col("block_key") == F.col("k"))).drop("s", "b", "k")
+    blocks = sums.withColumn("inside", F.coalesce(before, F.lit(0))).join(slices, F.col("source").eqNullSafe(F.col("s")) & (F.col("slice") == F.col("l")))
+    blocks = blocks.select(F.col("source").alias("s"), F.col("block_key").alias("k"), F.col("block").alias("b"), "block_tokens", (rest - F.col("ahead") - F.col("inside")).alias("left"))
+    placed = dealt.join(blocks, F.col("source").eqNullSafe(F.col("s")) & (F.col("block") == F.col("b")) & (F.col("block_key") == F.col("k"))).drop("s", "b", "k")
     # whole blocks before the cut and after it need no order inside; the block of the cut is summed row by row
     split = (F.col("left") > 0) & (F.col("left") < F.col("block_tokens"))
     spent = F.sum("tokens").over(Window.partitionBy("source", "block").orderBy("row_key", "doc_id").rangeBetween(Window.unboundedPreceding, Window.currentRow))
@@ -136,9 +149,10 @@ def mix(
 
 def realise(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with every row as often as the mix takes it; columns as given."""
-    plan = mix(docs, **options).select(F.col("doc_id").alias("_id"), F.col("copies").alias("_n")).groupBy("_id").agg(F.max("_n").alias("_n")).where("_n > 0")
-    taken = docs.join(plan, docs["doc_id"].eqNullSafe(plan["_id"]))
-    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), "_n"))).select(*[taken[c] for c in docs.columns])
+    i, s, n = fresh(docs, "_id", "_source", "_n")
+    plan = mix(docs, **options).where("copies > 0").groupBy(F.col("doc_id").alias(i), F.col("source").alias(s)).agg(F.max("copies").alias(n))
+    taken = docs.join(plan, docs["doc_id"].eqNullSafe(F.col(i)) & docs["source"].eqNullSafe(F.col(s)))
+    return taken.withColumn(n, F.explode(F.sequence(F.lit(1), n))).select(*docs.columns)
 
 
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
