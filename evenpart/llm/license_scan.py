@@ -5,14 +5,20 @@ A text is reduced to its words (A-Z lower-cased), single-spaced.  A notice of n
 unchanged in every match.  Exact search for the pieces gives candidate windows, and only there the ``regex`` library's
 bounded-error matching verifies the edits and reports the span.  Base phrases are counted at every place.
 
-One pass over the texts in Arrow batches, no shuffle.  Defined results: null text is empty; a text without words has
-n_words 0 and no labels; repeated rows are scanned alike; an empty table gives no rows.
+Creative Commons notices are read on over the words that follow, so that one with "nc", "nd" or "sa" behind it is labelled
+as such and not as plain attribution.
+
+One pass over the texts in Arrow batches, no shuffle; a text costs time in proportion to its length and its hits.
+Defined results: null text is empty; a text without words has n_words 0 and no labels; a text of any length is scanned
+whole; of matches of one notice that overlap the leftmost counts; repeated rows are scanned alike; any integer type serves
+as doc_id and a null one passes through; an empty table gives no rows; other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
@@ -34,6 +40,8 @@ NOTICES = {
     "redistribution and use in source and binary forms": "bsd",
     "all rights reserved": "all-rights-reserved",
 }
+#: Words that go on a notice of attribution, and what they add to its label (fixed values).
+TERMS = {"nc": "nc", "noncommercial": "nc", "nd": "nd", "noderivatives": "nd", "noderivs": "nd", "sa": "sa", "sharealike": "sa", "non commercial": "nc", "no derivatives": "nd", "share alike": "sa"}
 LETTERS_PER_ERROR, MOST_ERRORS = 10, 3
 
 #: Bytes of words stay (A-Z lower-cased), the others become blanks; all bytes of non-ASCII characters are word bytes.
@@ -78,7 +86,9 @@ def scan(text: str | None) -> tuple:
     if not body:
         return 0, 0, None, None, "", "", 0.0, []
     padded = b" " + body + b" "
-    word_at = lambda i: padded.count(b" ", 0, i + 1) - 1  # noqa: E731  of the byte at i of padded, a blank counts for the word after it
+    # the place of each blank: the word of a byte is the number of blanks before it, less one
+    blanks = np.flatnonzero(np.frombuffer(padded, np.uint8) == 32)
+    word_at = lambda i: int(np.searchsorted(blanks, i, side="right")) - 1
     places, base = [], set()
     for phrase, label in BASE.items():
         raw = f" {phrase} ".encode()
@@ -90,10 +100,24 @@ def scan(text: str | None) -> tuple:
     spans, labels, best = [], set(base), 1.0 if base else 0.0
     for n in _NOTICES:
         for a, b, e in n.find(body):
-            spans.append({"label": n.label, "first_word": word_at(a + 1), "last_word": word_at(b), "errors": e})
-            labels.add(n.label)
+            label = n.label + further(body[b : b + 64]) if n.label == "cc-by" else n.label
+            spans.append({"label": label, "first_word": word_at(a + 1), "last_word": word_at(b), "errors": e})
+            labels.add(label)
             best = max(best, 1 - e / n.size)
-    return len(padded.split()), len(places), min(places, default=None), max(places, default=None), ",".join(sorted(base)), ",".join(sorted(labels)), best, spans
+    return len(blanks) - 1, len(places), min(places, default=None), max(places, default=None), ",".join(sorted(base)), ",".join(sorted(labels)), best, spans
+
+
+def further(rest: bytes) -> str:
+    """The terms that the words right behind a notice of attribution add, such as ``-nc-sa``."""
+    words, out = rest.decode(errors="ignore").split(), []
+    while words:
+        size = 2 if " ".join(words[:2]) in TERMS else 1
+        term = TERMS.get(" ".join(words[:size]))
+        if term is None:
+            break
+        out.append(term)
+        words = words[size:]
+    return "".join(f"-{t}" for t in sorted(set(out), key=("nc", "nd", "sa").index))
 
 
 def scan_licenses(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -105,7 +129,7 @@ def scan_licenses(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -
             cols = zip(*found, strict=True) if found else [[]] * len(kinds)
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, type=k) for c, k in zip(cols, kinds, strict=True))], names=names)
 
-    return docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text")).mapInArrow(run, SCHEMA)
+    return docs.select(docs[doc_id].cast("long").alias("doc_id"), docs[text].alias("text")).mapInArrow(run, SCHEMA)
 
 
 def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
