@@ -1,17 +1,20 @@
 """Operator 8: Order MinHash fingerprints.
 
 K-mers are runs of ``k`` words.  The j-th occurrence of a k-mer is an element of its own (occurrence numbering), so the
-fingerprint sees a multiset.  One hash of (k-mer, occurrence) deals the elements over ``2 x tuples`` bins; the minimal
-element of every bin is selected, the two minima of neighbouring bins are put in the order in which they stand in the
-text, and the hash of the ordered pair is one component.  Swapping passages therefore changes components although the
-set of k-mers stays: the likeness falls with edit distance, not with set distance only.
+fingerprint sees a multiset.  The ``POOL`` elements of a text with the smallest hashes stand for it; for each of
+``tuples`` independent hashes the two smallest elements of the pool are selected, put in the order in which they stand in
+the text, and the hash of the ordered pair is one component.  Swapping passages therefore changes components although
+the set of k-mers stays: the likeness falls with edit distance, not with set distance only.  A text of at most ``POOL``
+elements is its own pool, so short texts have ordered components as long ones do.
 
 All of it happens inside a row with array functions on sorted packed longs; no k-mer becomes a row, and nothing
-leaves the JVM.  Texts cross one exchange, to stand beside their successor.
+leaves the JVM.  A text is fingerprinted once, and crosses one exchange with its fingerprint, to stand beside its successor.
 
-Defined results: null text is empty; a text of fewer than ``k`` words is one k-mer; an empty text has the empty
-fingerprint, like 1 to another empty one and 0 to the rest; rows with equal doc_id follow one another in text order;
-with one document the successor is the document itself.
+Defined results: null text is empty; a text of fewer than ``k`` words is one k-mer; a text of one k-mer has unordered
+components; an empty text has the empty fingerprint, like 1 to another empty one and 0 to the rest; elements that tie in
+a hash are ordered by their own hash; places in texts of more than 16.7 million words are told apart to one part in 16.7
+million; rows with equal doc_id follow one another in text order, null ids first; with one document the successor is the
+document itself; an empty table gives no rows; other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -19,12 +22,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from evenpart.plans.scratch import cut
 from evenpart.sources.tables import read_table
 
-K_WORDS, TUPLES = 2, 32
-#: A packed element: 6 bits of bin, 33 bits of hash, 24 bits of place (its low bits, for texts of more words).
+K_WORDS, TUPLES, POOL = 2, 32, 64
+#: A packed element: 39 bits of hash, 24 bits of place.
 PLACE_BITS, HASH_BITS = 24, 39
-ROWS_PER_BUCKET, MOST_BUCKETS = 1024, 4096
+POOL_BITS = POOL.bit_length() - 1
+#: Rows of an id range; ranges of the first level, whose ends are quantiles and constants of the plan.
+ROWS_PER_BUCKET, FIRST_LEVEL = 1024, 4096
 
 
 def _let(value: Column, body) -> Column:
@@ -38,9 +44,6 @@ def _pack(h: Column, place: Column) -> Column:
 
 def fingerprint(text: Column, k: int = K_WORDS, tuples: int = TUPLES) -> Column:
     """``tuples`` components of 8 hex digits each, "" for a component without elements, joined by commas."""
-    if tuples != 32:
-        raise ValueError("the packing holds 64 bins")
-    head = F.lit(PLACE_BITS)
     words = F.filter(F.split(F.coalesce(text, F.lit("")), r"[\x20\x09-\x0D]+"), lambda w: w != "")
 
     def starts(sorted_: Column, shift: int) -> Column:
@@ -52,7 +55,8 @@ def fingerprint(text: Column, k: int = K_WORDS, tuples: int = TUPLES) -> Column:
 
     def kmers(h: Column) -> Column:
         last = F.greatest(F.size(h) - k, F.lit(0))
-        return F.transform(F.sequence(F.lit(0), last), lambda i: _pack(F.xxhash64(*[F.get(h, i + j) for j in range(k)]), i))
+        coarse = F.greatest(F.ceil(F.log2(F.size(h).cast("double"))).cast("int") - PLACE_BITS, F.lit(0))
+        return _let(coarse, lambda c: F.transform(F.sequence(F.lit(0), last), lambda i: _pack(F.xxhash64(*[F.get(h, i + j) for j in range(k)]), F.call_function("shiftrightunsigned", i, c))))
 
     def numbered(s: Column) -> Column:
         """Elements (k-mer, occurrence) from k-mers sorted by (hash, place)."""
@@ -67,32 +71,33 @@ def fingerprint(text: Column, k: int = K_WORDS, tuples: int = TUPLES) -> Column:
 
         return _let(starts(s, PLACE_BITS), runs)
 
+    place = F.lit((1 << PLACE_BITS) - 1)
+
     def signature(v: Column) -> Column:
-        """Components from the sorted elements."""
-        bin_shift = HASH_BITS + PLACE_BITS - 6
+        """Components from the pool: the sorted elements' first."""
 
-        def parts(mins: Column) -> Column:
-            held = F.map_from_entries(F.transform(mins, lambda m: F.struct(F.shiftrightunsigned(m, bin_shift).cast("int"), m)))
+        def component(j: Column) -> Column:
+            # an independent hash of an element above its number in the pool
+            keys = F.transform(v, lambda e, i: F.shiftleft(F.shiftrightunsigned(F.xxhash64(F.shiftrightunsigned(e, PLACE_BITS), j), 8), POOL_BITS).bitwiseOR(i.cast("long")))
+            at = lambda key: F.get(v, key.bitwiseAND(F.lit(POOL - 1)).cast("int"))
 
-            def component(found: Column) -> Column:
-                def one(j: Column) -> Column:
-                    a, b = F.element_at(found, 2 * j), F.element_at(found, 2 * j + 1)
-                    place = F.lit((1 << PLACE_BITS) - 1)
-                    turned = a.bitwiseAND(place) > b.bitwiseAND(place)
-                    x, y = F.shiftrightunsigned(F.when(turned, b).otherwise(a), PLACE_BITS), F.shiftrightunsigned(F.when(turned, a).otherwise(b), PLACE_BITS)
-                    full = F.when(a.isNotNull() & b.isNotNull(), F.xxhash64(x, y)).otherwise(F.xxhash64(F.shiftrightunsigned(F.coalesce(a, b), PLACE_BITS)))
-                    return F.when(a.isNull() & b.isNull(), F.lit("")).otherwise(F.lpad(F.lower(F.hex(full.bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0"))
+            def pair(ks: Column) -> Column:
+                return _let(F.array_min(ks), lambda a: _let(F.array_min(F.filter(ks, lambda x: x != a)), lambda b: _let(F.struct(at(a).alias("a"), at(b).alias("b")), named)))
 
-                return F.array_join(F.transform(F.sequence(F.lit(0), F.lit(tuples - 1)), one), ",")
+            return _let(keys, pair)
 
-            return _let(held, component)
+        def named(e: Column) -> Column:
+            a, b = e["a"], e["b"]
+            pa, pb, ha, hb = a.bitwiseAND(place), b.bitwiseAND(place), F.shiftrightunsigned(a, PLACE_BITS), F.shiftrightunsigned(b, PLACE_BITS)
+            turned = (pa > pb) | ((pa == pb) & (ha > hb))
+            both = F.when(b.isNull(), F.xxhash64(ha)).when(turned, F.xxhash64(hb, ha)).otherwise(F.xxhash64(ha, hb))
+            return F.lpad(F.lower(F.hex(both.bitwiseAND(F.lit(0xFFFFFFFF)))), 8, "0")
 
-        return _let(F.transform(starts(v, bin_shift), lambda i: F.get(v, i)), parts)
+        return F.array_join(F.transform(F.sequence(F.lit(0), F.lit(tuples - 1)), component), ",")
 
-    del head
     empty = ",".join([""] * tuples)
     hashes = lambda w: F.transform(w, lambda x: F.xxhash64(x))
-    full = _let(hashes(words), lambda h: F.when(F.size(h) == 0, F.lit(empty)).otherwise(_let(F.sort_array(kmers(h)), lambda s: _let(F.sort_array(numbered(s)), signature))))
+    full = _let(hashes(words), lambda h: F.when(F.size(h) == 0, F.lit(empty)).otherwise(_let(F.sort_array(kmers(h)), lambda s: _let(F.slice(F.sort_array(numbered(s)), 1, POOL), signature))))
     return full
 
 
@@ -103,32 +108,38 @@ def likeness(a: Column, b: Column) -> Column:
     return _let(used, lambda u: F.when(F.size(u) == 0, F.lit(1.0)).otherwise(F.size(F.filter(u, lambda p: p["x"] == p["y"])) / F.size(u)))
 
 
-def with_next(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", rows_per_bucket: int = ROWS_PER_BUCKET) -> DataFrame:
-    """doc_id, text, next_text: the text of the following row by (doc_id, text), cyclic.
+def with_next(rows: DataFrame, rows_per_bucket: int = ROWS_PER_BUCKET) -> DataFrame:
+    """``rows`` (doc_id, text, more) with ``following``: the struct of the next row by (doc_id, text), cyclic.
 
-    Rows are cut into id ranges of about ``rows_per_bucket`` rows at approximate quantiles; a window orders each range,
-    and only the first row of every range travels to the range before it.
+    Ids are cut into ranges at approximate quantiles, and each of these into equal steps, until a step has about
+    ``rows_per_bucket`` rows; a window orders each step, and only the first row of every step travels to the step before.
     """
-    rows = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    n = docs.count()
+    n, low, high = rows.agg(F.count("*"), F.min("doc_id"), F.max("doc_id")).first()
+    whole = F.struct(*rows.columns)
     if n == 0:
-        return rows.withColumn("next_text", F.col("text"))
-    buckets = max(1, min(n // rows_per_bucket, MOST_BUCKETS))
-    # equi-depth boundaries, one number per range; beyond MOST_BUCKETS ranges they get longer, and the window spills
-    bounds = rows.agg(F.percentile_approx("doc_id", [i / buckets for i in range(1, buckets)], 10 * buckets).alias("b")).first()["b"] if buckets > 1 else []
+        return rows.withColumn("following", whole)
+    ranges = max(1, min(n // rows_per_bucket, FIRST_LEVEL))
+    bounds = rows.agg(F.percentile_approx("doc_id", [i / ranges for i in range(1, ranges)], 10 * ranges).alias("b")).first()["b"] if ranges > 1 else []
     edges = sorted(set(bounds or []))
-    index = F.lit(0) if not edges else F.when(F.col("doc_id").isNull(), F.lit(-1)).otherwise(_rank(F.col("doc_id"), edges))
-    dealt = rows.withColumn("bucket", index.cast("int")).repartition("bucket")
-    order = Window.partitionBy("bucket").orderBy("doc_id", "text")
-    inner = dealt.withColumn("next_text", F.lead("text").over(order)).withColumn("n", F.row_number().over(order))
-    firsts = rows.withColumn("bucket", index.cast("int")).groupBy("bucket").agg(F.min(F.struct("doc_id", "text")).alias("f"))
-    ring = firsts.select("bucket").collect()
-    present = sorted(r["bucket"] for r in ring)
-    follows = {b: present[(i + 1) % len(present)] for i, b in enumerate(present)}
-    before = {v: k for k, v in follows.items()}
-    links = docs.sparkSession.createDataFrame([(v, k) for v, k in before.items()], "bucket int, to int")
-    heads = firsts.join(links, "bucket").select(F.col("to").alias("bucket"), F.col("f.text").alias("head"))
-    return inner.join(heads, "bucket").select("doc_id", "text", F.coalesce("next_text", "head").alias("next_text"))
+    index = F.when(F.col("doc_id").isNull(), F.lit(-1)).otherwise(_rank(F.col("doc_id"), edges)).cast("int")
+    steps = -(-n // (ranges * rows_per_bucket))
+    if steps > 1 and low is not None:
+        ends = [low, *edges, high]
+        start, width = F.array(*[F.lit(float(e)) for e in ends[:-1]]), F.array(*[F.lit(float(max(b - a, 1))) for a, b in zip(ends, ends[1:], strict=False)])
+        share = (F.col("doc_id") - F.get(start, F.greatest("range", F.lit(0)))) / F.get(width, F.greatest("range", F.lit(0)))
+        step = F.coalesce(F.greatest(F.least(F.floor(share * steps), F.lit(steps - 1)), F.lit(0)), F.lit(0))
+    else:
+        step = F.lit(0)
+    placed = rows.withColumn("range", index).withColumn("step", step.cast("int"))
+    order = Window.partitionBy("range", "step").orderBy("doc_id", "text")
+    inner = placed.withColumn("following", F.lead(whole).over(order))
+    firsts = cut(placed.groupBy("range", "step").agg(F.min(whole).alias("first")))  # a row a step
+    present = sorted(r["range"] for r in firsts.select("range").distinct().collect())  # FIRST_LEVEL + 1 numbers
+    links = rows.sparkSession.createDataFrame([(present[(i + 1) % len(present)], r) for i, r in enumerate(present)], "range int, to int")
+    heads = firsts.groupBy("range").agg(F.min_by("first", "step").alias("far")).join(F.broadcast(links), "range").select(F.col("to").alias("range"), "far")
+    near = firsts.withColumn("near", F.lead("first").over(Window.partitionBy("range").orderBy("step")))
+    after = near.join(heads, "range").select("range", "step", F.coalesce("near", "far").alias("head"))
+    return inner.join(after, ["range", "step"]).withColumn("following", F.coalesce("following", "head")).drop("range", "step", "head")
 
 
 def _rank(value: Column, edges: list) -> Column:
@@ -143,16 +154,17 @@ def _rank(value: Column, edges: list) -> Column:
     return tree(0, len(edges))
 
 
-def fingerprints(docs: DataFrame, **options) -> DataFrame:
+def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """The columns of the digest for every row of ``docs``."""
-    n = F.length("text")
+    plain = docs.select(docs[doc_id].alias("doc_id"), F.coalesce(docs[text], F.lit("")).alias("text"))
+    n, following = F.length("text"), F.col("following")
     q = F.floor(n / 4).cast("int")
-    edited = F.concat(F.substring("text", F.lit(1), n - q), F.substring("next_text", F.lit(1), q))
-    pair = with_next(docs, **options).select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), "text", "next_text")
-    made = pair.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), F.struct(fingerprint(F.col("text")).alias("own"), fingerprint(F.col("edited")).alias("changed"), fingerprint(F.col("next_text")).alias("following")).alias("f"))
+    edited = F.concat(F.substring("text", F.lit(1), n - q), F.substring(following["text"], F.lit(1), q))
+    pair = with_next(plain.withColumn("own", fingerprint(F.col("text"))), **options).select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), "own", following["own"].alias("next"))
+    made = pair.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), F.struct("own", fingerprint(F.col("edited")).alias("changed"), "next").alias("f"))
     return made.select(
         "doc_id", "n_chars", "edited_sha256", F.col("f.own").alias("fingerprint"), F.col("f.changed").alias("edited_fingerprint"),
-        likeness(F.col("f.own"), F.col("f.changed")).alias("near_edited"), likeness(F.col("f.own"), F.col("f.following")).alias("near_next"),
+        likeness(F.col("f.own"), F.col("f.changed")).alias("near_edited"), likeness(F.col("f.own"), F.col("f.next")).alias("near_next"),
     )
 
 
