@@ -7,8 +7,10 @@ at most ``MAX_CHARS`` characters (the smallest keyed hashes of doc_id, the same
 reads every whole text; the sentence with the largest s(z) is the one to blame.
 
 Only the text enters a score.  Defined results: null and empty texts get the score of no sentence; a label that is
-null is not learned from; repeated rows score alike; without a toxic and a clean labelled row every score is 0; an
-empty table gives no rows.
+null is not learned from; a text of any length is scored whole; sentences that tie share the blame with the first of
+them; repeated rows score alike; an id with several labels is learned from with each; without a toxic and a clean labelled
+row every score is 0; any integer type serves as doc_id; an empty table gives no rows; ``keep_clean`` returns all columns
+of its rows, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ from pyspark.sql import functions as F
 
 from evenpart.sources.tables import read_table
 
-MAX_ROWS, MAX_CHARS, VOCABULARY, MIN_DOCS = 10_000, 200_000, 2000, 4
+MAX_ROWS, MAX_CHARS, VOCABULARY, MIN_DOCS = 10_000, 100_000, 2000, 4
 STEPS, RATE, L1, LEAN = 300, 0.1, 2e-5, 3.5
 
 _SENTENCE = re.compile(r"[.!?\n\r]+")
@@ -71,9 +73,11 @@ def is_held_out(doc_id: Column) -> Column:
 
 def learning_rows(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, seed: int = 42) -> list[tuple[str, int]]:
     """Text and label of the bounded sample; the ids are drawn from the labels, so that texts are not shuffled."""
-    drawn = labels.where(~is_held_out(F.col("doc_id")) & F.col("toxic").isNotNull()).select("doc_id", "toxic").orderBy(F.xxhash64("doc_id", F.lit(seed)), "doc_id").limit(max_rows)
-    joined = docs.join(F.broadcast(drawn), "doc_id").where(F.col("text").isNotNull() & (F.length("text") <= MAX_CHARS))
-    return [(r["text"], int(r["toxic"])) for r in joined.orderBy("doc_id", "text").select("text", "toxic").collect()]
+    known = labels.where(~is_held_out(F.col("doc_id")) & F.col("toxic").isNotNull()).select(F.col("doc_id").cast("long").alias("id"), F.col("toxic").alias("y"))
+    drawn = known.orderBy(F.xxhash64("id", F.lit(seed)), "id", "y").limit(max_rows)
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").alias("t")).where(F.col("t").isNotNull() & (F.length("t") <= MAX_CHARS))
+    joined = texts.join(F.broadcast(drawn), "id")
+    return [(r["t"], int(r["y"])) for r in joined.orderBy("id", "t", "y").collect()]
 
 
 def fit(rows: list[tuple[str, int]]) -> Model:
@@ -141,7 +145,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
             kinds = (pa.float64(), pa.int64(), pa.int64(), pa.float64())
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, type=k) for c, k in zip(cols, kinds, strict=True))], names=names)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, score double, worst_start long, worst_end long, worst_score double")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, score double, worst_start long, worst_end long, worst_score double")
 
 
 def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
