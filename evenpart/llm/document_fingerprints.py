@@ -157,14 +157,16 @@ def _rank(value: Column, edges: list) -> Column:
 def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """The columns of the digest for every row of ``docs``."""
     plain = docs.select(docs[doc_id].alias("doc_id"), F.coalesce(docs[text], F.lit("")).alias("text"))
+    rows = cut(plain.withColumn("own", fingerprint(F.col("text"))))  # several plans read it
     n, following = F.length("text"), F.col("following")
     q = F.floor(n / 4).cast("int")
     edited = F.concat(F.substring("text", F.lit(1), n - q), F.substring(following["text"], F.lit(1), q))
-    pair = with_next(plain.withColumn("own", fingerprint(F.col("text"))), **options).select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), "own", following["own"].alias("next"))
-    made = pair.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), F.struct("own", fingerprint(F.col("edited")).alias("changed"), "next").alias("f"))
-    return made.select(
-        "doc_id", "n_chars", "edited_sha256", F.col("f.own").alias("fingerprint"), F.col("f.changed").alias("edited_fingerprint"),
-        likeness(F.col("f.own"), F.col("f.changed")).alias("near_edited"), likeness(F.col("f.own"), F.col("f.next")).alias("near_next"),
+    pair = with_next(rows, **options).select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), "own", following["own"].alias("next"))
+    # bound inside an expression: a struct of it would be taken apart, and the fingerprint made once for each reader
+    made = _let(fingerprint(F.col("edited")), lambda c: F.struct(c.alias("changed"), likeness(F.col("own"), c).alias("near")))
+    return pair.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), "own", "next", made.alias("f")).select(
+        "doc_id", "n_chars", "edited_sha256", F.col("own").alias("fingerprint"), F.col("f.changed").alias("edited_fingerprint"),
+        F.col("f.near").alias("near_edited"), likeness(F.col("own"), F.col("next")).alias("near_next"),
     )
 
 
