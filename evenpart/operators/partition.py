@@ -11,13 +11,13 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from evenpart.functions import blocks
+from evenpart.operators import large
 from evenpart.operators.graphs import md5_coin
 from evenpart.operators.local import MOST_CLASSES, min_class
 from evenpart.plans.scratch import cut
 
-#: Cells of a dense block that one task may hold; larger classes need a larger first split.
-TILE_CELLS = 25_000_000
-BUCKETS = 4096
+#: Lots of classes that a small graph is dealt into, so that their pairs spread over tasks.
+LOTS = 8
 
 
 def order_key(vid: Column, seed: int) -> Column:
@@ -154,8 +154,10 @@ def frobenius_screen(stats: DataFrame, eps: float) -> DataFrame:
 def check_pairs(assign: DataFrame, eps: float, checker: str, edges: DataFrame | None = None, vertices: DataFrame | None = None, sigma: float | None = None, **options) -> DataFrame:
     """One row per pair (vid null: status, d, gap) and per witness vertex (vid, side class).
 
-    The members of a pair of classes meet with the edges between them, or with their features, in a dense block;
-    on edges ``density`` and ``power`` need no block, whatever the size of the classes.
+    Weights are ``edges``; or the Gaussian weights of ``vertices`` with ``sigma``; or, without one, the inner products of
+    the vertices' features.  Classes are dealt into lots of at most ``large.SIDE`` members; two lots meet in a task, as one
+    dense block from which every pair of their classes is cut.  Larger classes go to ``evenpart.operators.large``, which
+    asks the same questions by tiles, joins or sums; ``density`` and ``power`` need no block on edges at any size.
     """
     if edges is not None and checker == "density":  # no block is looked at
         return pair_density(edges, assign).select("s", "t", F.lit(blocks.UNIFORM).alias("status"), "d", F.lit(0.0).alias("gap"), F.lit(None).cast("int").alias("side"), F.lit(None).cast("long").alias("vid"))
@@ -163,56 +165,93 @@ def check_pairs(assign: DataFrame, eps: float, checker: str, edges: DataFrame |
         from evenpart.operators.power import check_power
 
         if edges is None:
-            raise ValueError("power sweeps need an edge graph")
+            raise ValueError("power sweeps need an edge graph; inner products have the same answer without sweeps (sigma)")
         return check_power(edges, assign, eps, **options)
-    placed = assign.where("cls > 0")
-    k, most = placed.agg(F.max("cls"), F.max("n")).first() if "n" in placed.columns else (placed.agg(F.max("cls")).first()[0], placed.groupBy("cls").count().agg(F.max("count")).first()[0])
-    if most * most > TILE_CELLS:
-        raise ValueError(f"classes of {most} need blocks of {most * most} cells; start with a larger first split")
-    kernel = vertices is not None
-    rows = placed.join(vertices.select("vid", "x"), "vid") if kernel else placed.withColumn("x", F.array().cast("array<double>"))
-    other = rows.withColumn("o", F.explode(F.sequence(F.lit(1), F.lit(k)))).where("o <> cls")
-    members = other.select(F.least("cls", "o").alias("s"), F.greatest("cls", "o").alias("t"), "cls", "vid", "x")
-    if kernel:
-        between = assign.sparkSession.createDataFrame([], "s int, t int, a long, b long, w double")
+    placed = assign.where("cls > 0").select("vid", "cls")
+    k, most = placed.groupBy("cls").agg(F.count("*").alias("n")).agg(F.max("cls"), F.max("n")).first()
+    if k is None or k < 2:
+        return assign.sparkSession.createDataFrame([], large.ROWS)
+    if most > large.SIDE:
+        return _check_large(placed, eps, checker, edges, vertices, sigma, **options)
+    points = vertices is not None
+    rows = placed.join(vertices.select("vid", "x"), "vid") if points else placed.withColumn("x", F.array().cast("array<double>"))
+    # enough lots to spread the work, whole classes each, no more members than a side of a block
+    per = max(1, min(large.SIDE // most, -(-k // LOTS)))
+    lots = -(-k // per)
+    lot = lambda c: F.floor((c - 1) / per).cast("int")
+    members = rows.withColumn("mine", lot(F.col("cls"))).withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(lots - 1))))
+    members = members.select(F.least("mine", "o").alias("i"), F.greatest("mine", "o").alias("j"), "cls", "vid", "x")
+    if points:
+        between = assign.sparkSession.createDataFrame([], "i int, j int, a long, b long, w double")
     else:
-        a, b = placed.select(F.col("vid").alias("src"), F.col("cls").alias("ca")), placed.select(F.col("vid").alias("dst"), F.col("cls").alias("cb"))
-        e = edges.join(a, "src").join(b, "dst").where("ca <> cb")
+        ends = [placed.select(F.col("vid").alias(v), F.col("cls").alias(c)) for v, c in (("src", "ca"), ("dst", "cb"))]
+        e = edges.join(ends[0], "src").join(ends[1], "dst").where("ca <> cb")
         first = F.col("ca") < F.col("cb")
-        between = e.select(F.least("ca", "cb").alias("s"), F.greatest("ca", "cb").alias("t"), F.when(first, F.col("src")).otherwise(F.col("dst")).alias("a"), F.when(first, F.col("dst")).otherwise(F.col("src")).alias("b"), F.col("w").cast("double").alias("w"))
-
-    # a task takes a lot of pairs: the pairs are many and small once the classes are
-    lots = max(1, min(k * (k - 1) // 2, 64))
-    lot = F.pmod(F.xxhash64("s", "t"), F.lit(lots)).alias("lot")
+        between = e.select(F.least(lot(F.col("ca")), lot(F.col("cb"))).alias("i"), F.greatest(lot(F.col("ca")), lot(F.col("cb"))).alias("j"), F.when(first, F.col("src")).otherwise(F.col("dst")).alias("a"), F.when(first, F.col("dst")).otherwise(F.col("src")).alias("b"), F.col("w").cast("double").alias("w"))
 
     def run(key, m: pd.DataFrame, e: pd.DataFrame) -> pd.DataFrame:
-        m = m.sort_values(["s", "t", "cls", "vid"])
-        xs = np.stack(m["x"].to_list()) if kernel and len(m) else None
-        ms, mt, mc, mv = (m[c].to_numpy() for c in ("s", "t", "cls", "vid"))
-        e = e.sort_values(["s", "t"])
-        pair = ms.astype(np.int64) << 32 | mt
-        epair = e["s"].to_numpy(np.int64) << 32 | e["t"].to_numpy(np.int64)
-        ea, eb, ew = (e[c].to_numpy() for c in ("a", "b", "w"))
-        out: list[tuple] = []
-        for p in np.unique(pair):
-            lo, hi = np.searchsorted(pair, [p, p + 1])
-            s, t = int(ms[lo]), int(mt[lo])
-            mid = lo + int((mc[lo:hi] == s).sum())
-            va, vb = mv[lo:mid], mv[mid:hi]
-            if kernel:
-                w = blocks.gaussian(xs[lo:mid], xs[mid:hi], sigma)
-            else:
-                w = np.zeros((len(va), len(vb)))
-                i, j = np.searchsorted(epair, [p, p + 1])
-                w[np.searchsorted(va, ea[i:j]), np.searchsorted(vb, eb[i:j])] = ew[i:j]
-            status, gap, ra, cb = blocks.check(w, eps, checker, **options)
-            out.append((s, t, status, float(w.mean()), float(gap), None, None))
-            if status == blocks.WITNESS:
-                out += [(s, t, None, None, None, s, int(v)) for v in va[ra]] + [(s, t, None, None, None, t, int(v)) for v in vb[cb]]
+        i, j, out = int(key[0]), int(key[1]), []
+        m = m.sort_values(["cls", "vid"])
+        if not len(m):
+            return pd.DataFrame(out, columns=["s", "t", "status", "d", "gap", "side", "vid"]).astype({"side": "Int64", "vid": "Int64"})
+        mc, mv = m["cls"].to_numpy(), m["vid"].to_numpy()
+        xs = np.stack(m["x"].to_list()) if points else None
+        at = {int(c): slice(lo, hi) for c, lo, hi in zip(*_spans(mc), strict=True)}
+        left, right = ([c for c in at if (c - 1) // per == x] for x in (i, j))
+        if points:
+            half = slice(0, int(np.searchsorted(mc, i * per + per, side="right"))), slice(0 if i == j else int(np.searchsorted(mc, j * per + 1)), len(mv))
+            whole = blocks.gaussian(xs[half[0]], xs[half[1]], sigma) if sigma is not None else xs[half[0]] @ xs[half[1]].T
+            cut_out = lambda s, t: whole[at[s], at[t].start - half[1].start : at[t].stop - half[1].start]
+        else:
+            order = np.argsort(mv)
+            place = lambda v: order[np.searchsorted(mv, v, sorter=order)]
+            pa, pb, ew = place(e["a"].to_numpy()), place(e["b"].to_numpy()), e["w"].to_numpy()
+            pair = mc[pa].astype(np.int64) << 32 | mc[pb]
+            by = np.argsort(pair, kind="stable")
+            pa, pb, ew, pair = pa[by], pb[by], ew[by], pair[by]
+
+            def cut_out(s, t):
+                w = np.zeros((at[s].stop - at[s].start, at[t].stop - at[t].start))
+                lo, hi = np.searchsorted(pair, [s << 32 | t, (s << 32 | t) + 1])
+                w[pa[lo:hi] - at[s].start, pb[lo:hi] - at[t].start] = ew[lo:hi]
+                return w
+
+        for s in left:
+            for t in right:
+                if s < t:
+                    w = cut_out(s, t)
+                    status, gap, ra, cb = blocks.check(w, eps, checker, **options)
+                    out.append((s, t, status, float(w.mean()), float(gap), None, None))
+                    if status == blocks.WITNESS:
+                        out += [(s, t, None, None, None, s, int(v)) for v in mv[at[s]][ra]] + [(s, t, None, None, None, t, int(v)) for v in mv[at[t]][cb]]
         return pd.DataFrame(out, columns=["s", "t", "status", "d", "gap", "side", "vid"]).astype({"side": "Int64", "vid": "Int64"})
 
-    left, right = members.withColumn("lot", lot), between.withColumn("lot", lot)
-    return left.groupBy("lot").cogroup(right.groupBy("lot")).applyInPandas(run, "s int, t int, status string, d double, gap double, side int, vid long")
+    return members.groupBy("i", "j").cogroup(between.groupBy("i", "j")).applyInPandas(run, large.ROWS)
+
+
+def _spans(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Value, begin and end of each run of equal values."""
+    begin = np.append(0, np.flatnonzero(values[1:] != values[:-1]) + 1)
+    return values[begin], begin, np.append(begin[1:], len(values))
+
+
+def _check_large(placed: DataFrame, eps: float, checker: str, edges: DataFrame | None, vertices: DataFrame | None, sigma: float | None, **options) -> DataFrame:
+    if edges is not None:
+        if checker == "sigma":  # the same singular value, by sweeps
+            from evenpart.operators.power import check_power
+
+            return check_power(edges, placed, eps, **options)
+        source = large.Edges(placed, edges)
+    else:
+        source = large.Inner(placed, vertices) if sigma is None else large.Gaussian(placed, vertices, sigma)
+    if checker == "density":
+        none = F.lit(None)
+        return large.pair_stats(source, placed).select("s", "t", F.lit(blocks.UNIFORM).alias("status"), "d", F.lit(0.0).alias("gap"), none.cast("int").alias("side"), none.cast("long").alias("vid"))
+    if checker == "codegree":
+        return large.check_codegree(source, placed, eps, **options)
+    if checker == "sigma" and isinstance(source, large.Inner):
+        return large.check_spectral(source, placed, eps, **options)
+    raise ValueError(f"{checker} of classes of more than {large.SIDE} points needs edges or inner products (kernel='features')")
 
 
 # ---- refinement ----------------------------------------------------------------------------------------------
