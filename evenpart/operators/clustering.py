@@ -15,14 +15,21 @@ from evenpart.functions import blocks
 from evenpart.operators import graphs
 from evenpart.operators.local import MOST_CLASSES
 from evenpart.operators.partition import Partition, check_pairs, initial_partition, practical_loop
+from evenpart.plans.scratch import cut
 
 
-def median_scale(vertices: DataFrame, rows: int = 400, seed: int = 42) -> float:
-    """Median distance over pairs of at most ``rows`` vertices, the smallest md5 of their ids."""
-    got = vertices.orderBy(F.md5(F.concat_ws(":", F.col("vid").cast("string"), F.lit(str(seed)))), "vid").limit(rows).select("x").collect()
-    x = np.array([r["x"] for r in got])
-    d2 = np.maximum((x**2).sum(1)[:, None] + (x**2).sum(1)[None] - 2 * x @ x.T, 0)
-    return float(np.median(np.sqrt(d2[np.triu_indices(len(x), 1)]))) or 1.0
+#: All pairs of a table of this many points are looked at; of larger ones the pairs inside hashed groups of ``SCALE_GROUP``.
+ALL_PAIRS, SCALE_GROUP = 2048, 256
+
+
+def median_scale(vertices: DataFrame, seed: int = 42) -> float:
+    """Median distance over pairs of points, every point of the table being in as many of them as any other."""
+    n = vertices.count()
+    group = F.lit(0) if n <= ALL_PAIRS else F.pmod(F.xxhash64("vid", F.lit(seed)), F.lit(n // SCALE_GROUP))
+    a = vertices.select("vid", "x", group.alias("g"))
+    pairs = a.join(a.select("g", F.col("vid").alias("other"), F.col("x").alias("z")), "g").where("vid < other")
+    got = pairs.agg(F.percentile_approx(F.sqrt(graphs.dist2(F.col("x"), F.col("z"))), 0.5, 100_000)).first()[0]
+    return float(got or 0.0) or 1.0
 
 
 def summary_graph(verdict: DataFrame, edges: str = "all", d_min: float = 0.0) -> DataFrame:
@@ -34,9 +41,9 @@ def summary_graph(verdict: DataFrame, edges: str = "all", d_min: float = 0.0) ->
 def matrix(summary: DataFrame, k: int) -> np.ndarray:
     if k > MOST_CLASSES:
         raise ValueError(f"{k} classes: raise h")
-    a = np.zeros((k, k))
-    for r in summary.select("s", "t", "w").collect():  # k(k-1)/2 rows
-        a[r["s"] - 1, r["t"] - 1] = a[r["t"] - 1, r["s"] - 1] = r["w"]
+    a, got = np.zeros((k, k)), summary.select("s", "t", "w").toArrow()  # k(k-1)/2 rows
+    s, t, w = (got.column(i).to_numpy() for i in range(3))
+    a[s - 1, t - 1] = a[t - 1, s - 1] = w
     return a
 
 
@@ -81,28 +88,52 @@ class Model:
         return vote(points, self.labels.join(self.vertices.select("vid", "x"), "vid"), vote_k)
 
     def save(self, path: str) -> None:
-        self.labels.join(self.vertices.select("vid", "x"), "vid").write.mode("overwrite").parquet(f"{path}/labels")
-        spark = self.labels.sparkSession
-        spark.createDataFrame([(json.dumps(self.partition.trace),)], "trace string").coalesce(1).write.mode("overwrite").json(f"{path}/trace")
+        """Labelled points, classes and trace under ``path``; ``load`` gives the model back."""
+        self.labels.join(self.vertices.select("vid", *[c for c in ("x", "y") if c in self.vertices.columns]), "vid").write.mode("overwrite").parquet(f"{path}/labels")
+        self.partition.assign.write.mode("overwrite").parquet(f"{path}/assign")
+        meta = json.dumps({"trace": self.partition.trace, "k": int(self.partition.k), "classes": [int(c) for c in self.classes]})
+        self.labels.sparkSession.createDataFrame([(meta,)], "meta string").coalesce(1).write.mode("overwrite").json(f"{path}/meta")
+
+
+def load(spark: SparkSession, path: str) -> Model:
+    """A saved model, which predicts as the one that was saved."""
+    labelled, meta = spark.read.parquet(f"{path}/labels"), json.loads(spark.read.json(f"{path}/meta").first()["meta"])
+    vertices = labelled.drop("cls", "cluster", "via")
+    return Model(labelled.select("vid", "cls", "cluster", "via"), Partition(spark.read.parquet(f"{path}/assign"), meta["trace"], meta["k"]), np.array(meta["classes"]), vertices)
 
 
-def load(spark: SparkSession, path: str) -> tuple[DataFrame, list[dict]]:
-    """Labelled points and trace of a saved model."""
-    return spark.read.parquet(f"{path}/labels"), json.loads(spark.read.json(f"{path}/trace").first()["trace"])
+def kernel_points(vertices: DataFrame, sigma: float, kernel: str = "exact", dims: int = 128, seed: int = 42) -> tuple[DataFrame, float | None]:
+    """Points and scale as ``check_pairs`` takes them: the points themselves, or random features whose inner products approach the weights.
+
+    ``features`` makes every pass over the complete graph one pass over the points, so that its cost is linear in them.
+    """
+    if kernel == "exact":
+        return vertices, sigma
+    if kernel != "features":
+        raise ValueError(f"kernel {kernel}: exact or features")
+    return cut(graphs.random_features(vertices, sigma, dims, seed).withColumnRenamed("phi", "x")), None
+
 
+def fit(
+    vertices: DataFrame, c: int, eps: float = 0.3, fanout: int = 2, h: int | None = None, edges: DataFrame | None = None, sigma: float | None = None, method: str = "spectral", vote_k: int = 5, seed: int = 42,
+    partition: Partition | None = None, kernel: str = "exact", dims: int = 128, **options,
+) -> Model:
+    """Both phases: partition, summary, its clustering, lift, residue.
 
-def fit(vertices: DataFrame, c: int, eps: float = 0.3, fanout: int = 2, h: int | None = None, edges: DataFrame | None = None, sigma: float | None = None, method: str = "spectral", vote_k: int = 5, seed: int = 42, partition: Partition | None = None, **options) -> Model:
-    """Both phases: partition, summary, its clustering, lift, residue."""
-    if edges is None and sigma is None:
-        sigma = median_scale(vertices)
+    Without ``edges`` the graph is the Gaussian kernel of the points.  The residue joins by a vote of its nearest
+    neighbours where the vertices have features, else by the weights of its edges.
+    """
+    points, scale = None, None
+    if edges is None:
+        points, scale = kernel_points(vertices, median_scale(vertices) if sigma is None else sigma, kernel, dims, seed)
     options.setdefault("min_parts", max(fanout, c + 1))
-    part = partition or practical_loop(vertices, eps, fanout, h, edges=edges, sigma=sigma, seed=seed, **options)
-    found = check_pairs(part.assign, eps, "density", edges, None if edges is not None else vertices, sigma).where("status is not null")
+    part = partition or practical_loop(vertices if points is None else points, eps, fanout, h, edges=edges, sigma=scale, seed=seed, **options)
+    found = check_pairs(part.assign, eps, "density", edges, points, scale).where("status is not null")
     classes = cluster_summary(summary_graph(found), part.k, c, method, seed)
     lifted = lift(part.assign, classes)
-    inside = lifted.where("cls > 0").withColumn("via", F.lit("class"))
+    inside = cut(lifted.where("cls > 0").withColumn("via", F.lit("class")))
     rest = lifted.where("cls = 0").select("vid")
-    if edges is None:
+    if "x" in vertices.columns:
         voted = vote(vertices.join(rest, "vid", "left_semi"), inside.join(vertices.select("vid", "x"), "vid"), vote_k)
     else:
         voted = edge_vote(rest, inside, edges)
@@ -168,8 +199,6 @@ def spectral(edges: DataFrame, vertices: DataFrame, c: int, seed: int = 42, swee
     The vectors stay distributed; a sweep is one join and one aggregation over the edges, and the driver sees a c x c
     matrix only.  The rows, scaled to unit length, are clustered by k-means.
     """
-    from evenpart.plans.scratch import cut
-
     both = edges.select("src", "dst", "w").union(edges.select("dst", "src", "w"))
     deg = both.groupBy("src").agg(F.sum("w").alias("deg"))
     scale = cut(vertices.select("vid").join(deg.withColumnRenamed("src", "vid"), "vid", "left").select("vid", F.coalesce(1 / F.sqrt("deg"), F.lit(0.0)).alias("r")))
@@ -189,12 +218,13 @@ def spectral(edges: DataFrame, vertices: DataFrame, c: int, seed: int = 42, swee
     return kmeans(graphs.standardise(q.withColumnRenamed("q", "x"), "l2"), c, seed)
 
 
-def landmark(vertices: DataFrame, c: int, sample: int = 300, seed: int = 42) -> DataFrame:
+def landmark(vertices: DataFrame, c: int, sample: int = 300, seed: int = 42, sigma: float | None = None) -> DataFrame:
     """Spectral clustering of a bounded sample (smallest md5), extended to all by the nearest sampled points."""
     drawn = vertices.orderBy(F.md5(F.concat_ws(":", F.col("vid").cast("string"), F.lit(str(seed)))), "vid").limit(sample).select("vid", "x").collect()
     from evenpart.operators.local import affinity
 
-    labels = blocks.spectral_labels(affinity(np.array([r["x"] for r in drawn])), c, seed)
+    drawn = sorted(drawn, key=lambda r: r["vid"])
+    labels = blocks.spectral_labels(affinity(np.array([r["x"] for r in drawn]), "median" if sigma is None else sigma), c, seed)
     base = vertices.sparkSession.createDataFrame([(r["vid"], list(r["x"]), int(v)) for r, v in zip(drawn, labels, strict=True)], "vid long, x array<double>, cluster int")
     rest = vote(vertices.join(F.broadcast(base.select("vid")), "vid", "left_anti"), base, 1)
     return base.select("vid", "cluster").union(rest)
@@ -225,6 +255,11 @@ def random_partition(vertices: DataFrame, k: int, seed: int = 42) -> Partition:
     return Partition(initial_partition(vertices, k, seed=seed), [], k)
 
 
+def random_labels(vertices: DataFrame, c: int, seed: int = 42) -> DataFrame:
+    """(vid, cluster) by md5 coin."""
+    return vertices.select("vid", F.floor(graphs.md5_coin(F.col("vid"), F.lit(seed)) * c).cast("int").alias("cluster"))
+
+
 def majority_rate(vertices: DataFrame) -> DataFrame:
     n = vertices.groupBy("y").agg(F.count("*").alias("n"))
     return n.agg((100.0 * F.max("n") / F.sum("n")).alias("rate"), F.count("*").alias("classes"), F.sum("n").alias("n"))

@@ -117,7 +117,7 @@ class Gaussian:
         )
         sigma = self.sigma
 
-        def run(key, m: pd.DataFrame) -> pd.DataFrame:
+        def run(key: tuple, m: pd.DataFrame) -> pd.DataFrame:
             s, t = int(key[0]), int(key[1])
             m = m.sort_values("vid")
             a, b = m[m["cls"] == s], m[m["cls"] == t]
@@ -276,7 +276,7 @@ class Inner:
             for (s, t, side, kind), v in sums.items():
                 yield pd.DataFrame({"s": [s], "t": [t], "side": [side], "kind": [kind], "sums": [v.ravel()]})
 
-        def joined(key, f: pd.DataFrame) -> pd.DataFrame:
+        def joined(key: tuple, f: pd.DataFrame) -> pd.DataFrame:
             y = held.value[0][int(key[2])][0]
             a, b = (np.sum(f.loc[f["kind"] == kind, "sums"].to_list(), axis=0).reshape(len(y), -1) for kind in (0, 1))
             return pd.DataFrame({"s": key[0], "t": key[1], "side": key[2], "y": y, "size_a": a[:, 0].astype(int), "size_b": b[:, 0].astype(int), "inner": (a[:, 1:] * b[:, 1:]).sum(1)})

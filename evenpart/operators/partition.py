@@ -18,6 +18,10 @@ from evenpart.plans.scratch import cut
 
 #: Lots of classes that a small graph is dealt into, so that their pairs spread over tasks.
 LOTS = 8
+#: Names of new classes that are sent to all tasks; more are joined by a shuffle.
+MOST_NAMES = 1_000_000
+#: Slices of the ids in a start by id.
+SLICES_OF_IDS = 256
 
 
 def order_key(vid: Column, seed: int) -> Column:
@@ -25,12 +29,23 @@ def order_key(vid: Column, seed: int) -> Column:
 
 
 def rank_within(df: DataFrame, groups: list[str], key: str, tie: str) -> DataFrame:
-    """Add ``rank`` (0, 1, ...) by (key, tie) inside each group, where ``key`` is hexadecimal.
+    """Add ``rank`` (0, 1, ...) by (key, tie) inside each group, where ``key`` is hexadecimal and evenly spread (a digest).
 
     The first three digits of the key cut a group into 4096 buckets: counts give each bucket its offset, and rows are
     numbered inside buckets only, so that a group of any size is ranked by many tasks.
     """
-    held = df.withColumn("_b", F.substring(key, 1, 3))
+    return _ranked(df.withColumn("_b", F.substring(key, 1, 3)), groups, key, tie)
+
+
+def rank_by_number(df: DataFrame, number: str, slices: int = SLICES_OF_IDS) -> DataFrame:
+    """Add ``rank`` (0, 1, ...) by a number, in slices between approximate quantiles, however the numbers are spread."""
+    bounds = df.agg(F.percentile_approx(number, [i / slices for i in range(1, slices)], 10 * slices)).first()[0]
+    edges = F.array(*[F.lit(b) for b in sorted(set(bounds or []))]) if bounds else F.array().cast("array<long>")
+    slice_ = F.size(F.filter(edges, lambda b: b < F.col(number)))
+    return _ranked(df.withColumns({"_b": slice_, "_g": F.lit(0)}), ["_g"], number, number).drop("_g")
+
+
+def _ranked(held: DataFrame, groups: list[str], key: str, tie: str) -> DataFrame:
     counts = held.groupBy(*groups, "_b").agg(F.count("*").alias("_n"))
     before = Window.partitionBy(*groups).orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.withColumn("_o", F.coalesce(F.sum("_n").over(before), F.lit(0))).drop("_n")
@@ -44,8 +59,10 @@ def initial_partition(vertices: DataFrame, parts: int, order: str = "hash", seed
     if n < parts:
         raise ValueError(f"{n} vertices can't fill {parts} classes")
     size = n // parts
-    key = order_key(F.col("vid"), seed) if order == "hash" else F.lower(F.lpad(F.hex("vid"), 16, "0"))
-    ranked = rank_within(vertices.select("vid", key.alias("key"), F.lit(0).alias("g")), ["g"], "key", "vid")
+    if order == "hash":
+        ranked = rank_within(vertices.select("vid", order_key(F.col("vid"), seed).alias("key"), F.lit(0).alias("g")), ["g"], "key", "vid")
+    else:
+        ranked = rank_by_number(vertices.select("vid"), "vid")
     return ranked.select("vid", F.when(F.col("rank") < parts * size, 1 + F.floor(F.col("rank") / size)).otherwise(0).cast("int").alias("cls"))
 
 
@@ -289,7 +306,7 @@ def refine(assign: DataFrame, cells: DataFrame, fanout: int, recycle: str = "cla
         extra = rank_within(rest, ["g"], "key", "vid").where(F.col("rank") < n // m * m)
         done = done.unionByName(extra.select("vid", F.lit(2**30).alias("cls"), F.lit(3).alias("cell"), F.floor(F.col("rank") / m).alias("chunk")))
     names = done.select("cls", "cell", "chunk").distinct()  # at most fanout x k rows and a few
-    dense = names.withColumn("new", F.row_number().over(Window.orderBy("cls", "cell", "chunk")).cast("int"))
+    dense = names.withColumn("new", F.row_number().over(Window.orderBy("cls", "cell", "chunk")).cast("int"))  # MOST_CLASSES rows
     placed = done.join(F.broadcast(dense), ["cls", "cell", "chunk"]).select("vid", "new")
     return assign.select("vid").join(placed, "vid", "left").select("vid", F.coalesce("new", F.lit(0)).alias("cls"))
 
@@ -306,7 +323,8 @@ def refine_full(assign: DataFrame, witness: DataFrame) -> DataFrame:
     ranked = rank_within(rows, ["cls", "cell"], "key", "vid").join(rows.groupBy("cls", "cell").count(), ["cls", "cell"])
     done = ranked.withColumn("chunk", F.floor(F.col("rank") / m)).where(F.col("chunk") < F.floor(F.col("count") / m))
     dense = done.select("cls", "cell", "chunk").distinct().withColumn("new", F.row_number().over(Window.orderBy("cls", "cell", "chunk")).cast("int"))
-    return assign.select("vid").join(done.join(F.broadcast(dense), ["cls", "cell", "chunk"]).select("vid", "new"), "vid", "left").select("vid", F.coalesce("new", F.lit(0)).alias("cls"))
+    sent = F.broadcast(dense) if k * 4**k <= MOST_NAMES else dense  # at most k 4^k rows
+    return assign.select("vid").join(done.join(sent, ["cls", "cell", "chunk"]).select("vid", "new"), "vid", "left").select("vid", F.coalesce("new", F.lit(0)).alias("cls"))
 
 
 # ---- the loop ------------------------------------------------------------------------------------------------
@@ -326,11 +344,14 @@ def practical_loop(
     """Start, test the size, check all pairs, count, refine; every round is written, so lineage stays one round long."""
     n = vertices.count()
     h = max(min_class(eps, fanout) if h is None else h, -(-n // max_classes))
+    if edges is not None:
+        weights_in_range(edges)
     assign = cut(initial_partition(vertices, fanout, seed=seed))
     k, m, trace, before = fanout, n // fanout, [], None
     while True:
         began = time.monotonic()
-        row = {"iter": len(trace) + 1, "k": k, "m": m, "energy": None, "energy_norm": None, "pairs": k * (k - 1) // 2, "bad": None, "required": None, "stop": None}
+        residue = assign.where("cls = 0").count()
+        row = {"iter": len(trace) + 1, "k": k, "m": m, "residue": residue, "energy": None, "energy_norm": None, "pairs": k * (k - 1) // 2, "bad": None, "required": None, "stop": None}
         row["cells"], row["checked"] = row["pairs"] * m * m, row["pairs"] if m >= h else 0
         trace.append(row)
         # the size comes first; the densities of the last partition are wanted anyway, so its pairs are measured too
@@ -359,15 +380,31 @@ def practical_loop(
         k, m = assign.agg(F.max("cls")).first()[0], m // fanout
 
 
-def full_loop(vertices: DataFrame, eps: float, parts: int, checker: str = "codegree", edges: DataFrame | None = None, sigma: float | None = None, max_rounds: int = 3) -> Partition:
-    """The unmodified loop: stops when at most eps k^2 pairs are bad, and raises where its classes can't be split."""
-    assign, k, trace = cut(initial_partition(vertices, parts)), parts, []
+def weights_in_range(edges: DataFrame) -> None:
+    """Densities are shares of a full graph: a weight outside [0, 1] has no meaning in any check."""
+    low, high = edges.agg(F.min("w"), F.max("w")).first()
+    if low is not None and not 0 <= low <= high <= 1:
+        raise ValueError(f"weights from {low} to {high}: scale them to [0, 1] (graphs.scaled) or make them 0 and 1 (graphs.binarize)")
+
+
+def full_loop(vertices: DataFrame, eps: float, parts: int, checker: str = "codegree", edges: DataFrame | None = None, sigma: float | None = None, max_rounds: int = 3, seed: int = 42) -> Partition:
+    """The unmodified loop: stops when at most eps k^2 pairs are bad, and raises where its classes can't be split.
+
+    ``stop`` of the last round is ``few_bad_pairs``, or ``max_rounds`` where the loop was left early.
+    """
+    if edges is not None:
+        weights_in_range(edges)
+    assign, k, trace = cut(initial_partition(vertices, parts, seed=seed)), parts, []
     while True:
         found = cut(check_pairs(assign, eps, checker, edges, None if edges is not None else vertices, sigma))
-        bad = found.where((F.col("status").isNotNull()) & (F.col("status") != blocks.UNIFORM)).count()
-        trace.append({"iter": len(trace) + 1, "k": k, "bad": bad})
-        if bad <= eps * k * k or len(trace) >= max_rounds:
+        verdict = found.where(F.col("status").isNotNull())
+        s2, bad = verdict.agg(F.sum(F.col("d") * F.col("d")), F.sum((F.col("status") != blocks.UNIFORM).cast("int"))).first()
+        row = {"iter": len(trace) + 1, "k": k, "m": vertices.count() // k if not trace else trace[-1]["next"], "bad": int(bad or 0), "limit": eps * k * k, "energy": (s2 or 0.0) / k**2, "stop": None}
+        trace.append(row)
+        if row["bad"] <= row["limit"] or len(trace) >= max_rounds:
+            row["stop"] = "few_bad_pairs" if row["bad"] <= row["limit"] else "max_rounds"
             return Partition(assign, trace, k)
+        row["next"] = row["m"] // 4**k
         assign = cut(refine_full(assign, found.where("vid is not null").select("s", "t", "side", "vid")))
         k = assign.agg(F.max("cls")).first()[0]
 
