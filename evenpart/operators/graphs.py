@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from evenpart.plans.scratch import cut
 from evenpart.sources.tables import read_table
 
 #: A dense tile side is sent to every task only up to this many points.
@@ -30,11 +31,18 @@ def dist2(x: Column, y: Column) -> Column:
 LETTERS = "eaionrstlduhc"
 
 
+DIGITS, CAPITALS, MARKS, BLANKS = "0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", ".,;:!?", " \t\n\r\f\v"
+
+
 def text_shape(text: Column) -> Column:
-    """20 numbers of a text's shape: log length, words, lines, shares of kinds of characters and of 13 letters."""
+    """20 numbers of a text's shape: log length, words, lines, shares of kinds of characters and of 13 letters.
+
+    A kind of characters is counted by what is left of the length when they are deleted, which needs no regular expression.
+    """
     n = F.greatest(F.length(text), F.lit(1)).cast("double")
-    share = lambda p: F.regexp_count(text, F.lit(p)) / n
-    return F.array(F.log(n + 1), share(r"\s"), share(r"\n"), share("[0-9]"), share("[A-Z]"), share(r"[^\x00-\x7F]"), share(r"[.,;:!?]"), *[share(c) for c in LETTERS])
+    share = lambda chars: (F.length(text) - F.length(F.translate(text, chars, ""))) / n
+    plain = F.length(F.regexp_replace(text, r"[^\x00-\x7F]+", ""))
+    return F.array(F.log(n + 1), share(BLANKS), share("\n"), share(DIGITS), share(CAPITALS), (F.length(text) - plain) / n, share(MARKS), *[share(c) for c in LETTERS])
 
 
 def standardise(vertices: DataFrame, how: str | None = "z") -> DataFrame:
@@ -44,7 +52,11 @@ def standardise(vertices: DataFrame, how: str | None = "z") -> DataFrame:
     if how == "l2":
         norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda s, v: s + v * v))
         return vertices.withColumn("x", F.transform("x", lambda v: F.when(norm > 0, v / norm).otherwise(0.0)))
-    p = len(vertices.select("x").first()[0])
+    vertices = cut(vertices)  # read for its size, for its sums and for the result
+    head = vertices.select("x").first()
+    if head is None:
+        return vertices
+    p = len(head[0])
     low = (lambda c: F.avg(c)) if how == "z" else (lambda c: F.min(c))
     size = (lambda c: F.stddev_pop(c)) if how == "z" else (lambda c: F.max(c) - F.min(c))
     got = vertices.agg(*[low(F.col("x")[i]).alias(f"a{i}") for i in range(p)], *[size(F.col("x")[i]).alias(f"b{i}") for i in range(p)]).first()
@@ -63,31 +75,47 @@ def emb_vertices(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ---- neighbours ----------------------------------------------------------------------------------------------
 
 
+#: Points of a block of queries and of the base: a task holds the distances of one block to another.
+KNN_BLOCK = 4096
+
+
 def knn(queries: DataFrame, base: DataFrame, k: int) -> DataFrame:
     """(qid, vid, dist, rank): the k nearest base points of each query but itself; ties by (distance, vid).
 
-    The base travels to the tasks as blocks: queries and base are dealt into blocks of a fixed size, every block of the
-    base meets every block of queries (the work of an exact search), and only k rows a query and block are shuffled.
+    Queries and base are dealt into blocks, every block of the one meets every block of the other (the work of an exact
+    search) as one matrix product, and only k rows a query and block are shuffled.
     """
-    n = base.count()
-    parts = max(1, -(-n // 5000))
-    blocks = base.select(F.pmod(F.xxhash64("vid"), F.lit(parts)).cast("int").alias("part"), F.col("vid").alias("vid"), F.col("x").alias("y"))
-    asked = queries.select(F.col("vid").alias("qid"), "x", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"))
+    lots = [max(1, -(-d.count() // KNN_BLOCK)) for d in (queries, base)]
+    lot = lambda c, n: F.pmod(F.xxhash64(c), F.lit(n)).cast("int")
+    asked = queries.select(F.col("vid").alias("qid"), "x", lot("vid", lots[0]).alias("i"), F.explode(F.sequence(F.lit(0), F.lit(lots[1] - 1))).alias("j"))
+    blocks = base.select("vid", F.col("x").alias("y"), lot("vid", lots[1]).alias("j"), F.explode(F.sequence(F.lit(0), F.lit(lots[0] - 1))).alias("i"))
 
-    def search(key, q: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+    def search(key: tuple, q: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         if not len(q) or not len(b):
             return pd.DataFrame({"qid": [], "vid": [], "dist": []}).astype({"qid": "int64", "vid": "int64", "dist": "float64"})
         b = b.sort_values("vid")
-        y, vid, out = np.stack(b["y"].to_list()), b["vid"].to_numpy(), []
-        for qid, x in zip(q["qid"], q["x"], strict=True):
-            d = np.sqrt(((y - np.asarray(x)) ** 2).sum(1))
-            d[vid == qid] = np.inf
-            near = np.argsort(np.round(d, 9), kind="stable")[:k]
-            near = near[np.isfinite(d[near])]
-            out.append(pd.DataFrame({"qid": qid, "vid": vid[near], "dist": d[near]}))
-        return pd.concat(out)
-
-    found = asked.groupBy("part").cogroup(blocks.groupBy("part")).applyInPandas(search, "qid long, vid long, dist double")
+        x, y, vid, qid = np.stack(q["x"].to_list()), np.stack(b["y"].to_list()), b["vid"].to_numpy(), q["qid"].to_numpy()
+        near = ((y**2).sum(1)[None] - 2 * x @ y.T) + (x**2).sum(1)[:, None]
+        near[qid[:, None] == vid[None]] = np.inf
+        # a few more than k by the product, whose rounding may turn close ones round; then k by exact distances
+        some = min(k + 16, len(vid))
+        at = np.argpartition(near, some - 1, axis=1)[:, :some]
+        at.sort(axis=1)
+        dist = np.sqrt(((y[at] - x[:, None]) ** 2).sum(2))
+        dist[vid[at] == qid[:, None]] = np.inf
+        order = np.argsort(np.round(dist, 9), axis=1, kind="stable")[:, :k]
+        at, dist = np.take_along_axis(at, order, 1), np.take_along_axis(dist, order, 1)
+        good = np.isfinite(dist)
+        # ties beyond the extra places: the last place taken must be farther than the k-th
+        edge = np.sort(near, axis=1)[:, min(k - 1, len(vid) - 1)]
+        for r in np.flatnonzero((near <= edge[:, None] + 1e-9 * np.maximum(1, np.abs(edge[:, None]))).sum(1) > some):
+            d = np.sqrt(((y - x[r]) ** 2).sum(1))
+            d[vid == qid[r]] = np.inf
+            o = np.argsort(np.round(d, 9), kind="stable")[: at.shape[1]]
+            at[r], dist[r], good[r] = o, d[o], np.isfinite(d[o])
+        return pd.DataFrame({"qid": np.repeat(qid, at.shape[1])[good.ravel()], "vid": vid[at].ravel()[good.ravel()], "dist": dist.ravel()[good.ravel()]})
+
+    found = asked.groupBy("i", "j").cogroup(blocks.groupBy("i", "j")).applyInPandas(search, "qid long, vid long, dist double")
     order = Window.partitionBy("qid").orderBy(F.round("dist", 9), "vid")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
@@ -127,11 +155,25 @@ def binarize(edges: DataFrame, tau: float) -> DataFrame:
     return edges.where(F.col("w") >= tau).select("src", "dst", F.lit(1.0).alias("w"))
 
 
+#: Members of a hub that one task pairs with as many others; larger hubs are dealt into parts.
+HUB_PART = 2048
+
+
 def co_occurrence(rows: DataFrame, entity: str, hub: str) -> DataFrame:
-    """(src, dst, w): how many hubs two entities share.  The cost is the sum of squared hub degrees."""
-    held = rows.select(F.col(entity).alias("v"), F.col(hub).alias("hub")).distinct()
-    a, b = held.withColumnRenamed("v", "src"), held.withColumnRenamed("v", "dst")
-    return a.join(b, "hub").where("src < dst").groupBy("src", "dst").agg(F.count("*").alias("w"))
+    """(src, dst, w): how many hubs two entities share.  The cost is the sum of squared hub degrees.
+
+    The members of a hub are dealt into parts, and every two parts meet on a key of their own, so that no task pairs out
+    a hot hub alone; hubs of up to ``HUB_PART`` members have one part.
+    """
+    held = rows.select(F.col(entity).alias("v"), F.col(hub).alias("hub")).where("v IS NOT NULL AND hub IS NOT NULL").distinct()
+    large = held.groupBy("hub").agg(F.count("*").alias("n")).where(F.col("n") > HUB_PART).select("hub", F.ceil(F.col("n") / HUB_PART).cast("int").alias("parts"))
+    dealt = held.join(large, "hub", "left").withColumn("parts", F.coalesce("parts", F.lit(1))).withColumn("mine", F.pmod(F.xxhash64("v"), "parts").cast("int"))
+    met = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("hub", "v", "mine", F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"))
+    a = met.select("hub", "p", "q", F.col("v").alias("src"), F.col("mine").alias("m"))
+    b = met.select("hub", "p", "q", F.col("v").alias("dst"), F.col("mine").alias("n"))
+    # two members of one part meet under each pair of parts; they count under (p, p) only
+    pairs = a.join(b, ["hub", "p", "q"]).where((F.col("src") < F.col("dst")) & ((F.col("m") != F.col("n")) | (F.col("p") == F.col("q"))))
+    return pairs.groupBy("src", "dst").agg(F.count("*").alias("w"))
 
 
 def copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
