@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES: tuple[str, ...] = ("methods", "relational", "experiments", "surfaces")
+MODULES: tuple[str, ...] = ("methods", "verified", "relational", "experiments", "surfaces")
 
 
 def collected() -> tuple[dict, dict]:

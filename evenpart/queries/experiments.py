@@ -276,6 +276,6 @@ def fit_growing(spark: SparkSession, sizes: tuple[int, ...], dims: int = 64) ->
 
 @query()
 def exp_growth(spark: SparkSession, sf: str) -> DataFrame:
-    """Time and classes as the points grow fourfold twice (2 to 32 times the documents of the table)."""
+    """Time and classes as the points grow fourfold from the number of documents of the table."""
     n = read_table(spark, sf, "documents", "doc_id").count()
-    return fit_growing(spark, (2 * n, 8 * n, 32 * n))
+    return fit_growing(spark, (n, 4 * n))
