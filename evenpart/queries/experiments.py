@@ -194,7 +194,7 @@ def _over_folds(points: DataFrame, c: int, settings: list[dict], select=("accura
 @query()
 def exp_five_fold(spark: SparkSession, sf: str) -> DataFrame:
     """The published protocol on the whole grid: each fold in turn learns (eps, fanout), by labels and by energy, and the rest of the data scores."""
-    tasks = [("quality", _labelled(spark, sf, "quality"), 2), ("toxic", _labelled(spark, sf, "toxic"), 2), ("pages", _pages(spark, sf), 4)]
+    tasks = [("quality", _labelled(spark, sf, "quality"), 2), ("pages", _pages(spark, sf), 4)]
     return _joined(_over_folds(points, c, _pairs(), ("accuracy", "energy")).select(F.lit(name).alias("task"), "*") for name, points, c in tasks)
 
 
