@@ -52,7 +52,7 @@ def _blobs(n=120, seed=1):
 def test_grid_matches_one_setting_and_sizes(spark):
     x, y = _blobs()
     v = spark.createDataFrame([(i, [float(a) for a in p], str(t)) for i, (p, t) in enumerate(zip(x, y))], "vid long, x array<double>, y string")
-    settings = [{"eps": 0.3, "fanout": 2, "c": 3, "keep": "literal", "pick": "max_gap"}, {"method": "kmeans", "c": 3}, {"method": "spectral", "self_tuned": True, "c": 3}]
+    settings = [{"eps": 0.3, "fanout": 2, "c": 3, "keep": "literal", "pick": "max_gap", "sigma": 3.0}, {"method": "kmeans", "c": 3}, {"method": "spectral", "self_tuned": True, "c": 3}]
     got = {r.setting: r for r in grid(v, settings).collect()}
     assert len(got) == 3
     for s in settings:
@@ -69,15 +69,15 @@ def test_folds_cover_all(spark):
     x, y = _blobs(200)
     y = y.astype(str)
     v = spark.createDataFrame([(i, [float(a) for a in p], t) for i, (p, t) in enumerate(zip(x, y.tolist()))], "vid long, x array<double>, y string")
-    tried = [{"eps": e, "fanout": f, "pick": "max_gap", "keep": "last_valid", "c": 3} for e, f in ((0.3, 2), (0.3, 4))]
+    tried = [{"eps": e, "fanout": f, "pick": "max_gap", "keep": "last_valid", "c": 3, "sigma": 3.0} for e, f in ((0.3, 2), (0.3, 4))]
     place = np.array([r.f for r in v.select("vid", fold_of(F.col("vid")).alias("f")).orderBy("vid").collect()])
-    alone = lambda f, s: run_one(x[place == f], y[place == f], s)["accuracy"]
-    best = max(tried, key=lambda s: alone(0, s))
+    alone = lambda inside, s: run_one(x[inside], y[inside], s, np.flatnonzero(inside))["accuracy"]
     got = {r.fold: r for r in cross_validate(v, 3, [{k: a for k, a in s.items() if k != "c"} for s in tried]).collect()}
-    assert sorted(got) == [1, 2, 3, 4]
-    for f, r in got.items():
-        assert (r.eps, r.fanout, r.n) == (best["eps"], best["fanout"], (place == f).sum())
-        assert abs(r.accuracy - alone(f, best)) < 1e-9
+    assert sorted(got) == [0, 1, 2, 3, 4]
+    for f, r in got.items():  # a fold learns, the rest of the data scores
+        best = max(tried, key=lambda s: round(alone(place == f, s), 9))
+        assert (r.eps, r.fanout, r.n, r.chosen_by) == (best["eps"], best["fanout"], (place != f).sum(), "accuracy")
+        assert abs(r.accuracy - alone(place != f, best)) < 1e-9
 
 
 def test_standardise_constant(spark):
