@@ -28,7 +28,7 @@ def _ones(spark, sf):
 def _common(select: str) -> str:
     """Codegrees of the anchors of both classes of every pair, and what is read from them."""
     return f"""{ONES}, x AS (SELECT least(a.cls, b.cls) AS s, greatest(a.cls, b.cls) AS t, a.cls AS side, e.src AS vid, e.dst AS near FROM (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e) e JOIN g a ON a.vid = e.src JOIN g b ON b.vid = e.dst WHERE a.cls > 0 AND b.cls > 0 AND a.cls <> b.cls),
-an AS (SELECT cls AS side, vid AS y FROM (SELECT *, row_number() OVER (PARTITION BY cls ORDER BY ('0x' || substr(md5(vid || ':42'), 1, 8))::BIGINT / 4294967296.0, vid) AS r FROM g WHERE cls > 0) WHERE r <= {ANCHORS}),
+an AS (SELECT cls AS side, vid AS y FROM (SELECT *, row_number() OVER (PARTITION BY cls ORDER BY ('0x' || substr(md5(vid || ':anchor:42'), 1, 8))::BIGINT / 4294967296.0, vid) AS r FROM g WHERE cls > 0) WHERE r <= {ANCHORS}),
 n AS (SELECT p.s, p.t, p.side, p.vid AS y, q.vid, count(*) AS n FROM x p JOIN an ON an.side = p.side AND an.y = p.vid JOIN x q ON q.s = p.s AND q.t = p.t AND q.side = p.side AND q.near = p.near AND q.vid <> p.vid GROUP BY ALL), {select}"""
 
 

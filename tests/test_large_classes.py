@@ -95,7 +95,7 @@ def test_anchors_are_the_smallest_coins(spark):
     got = large.choose_anchors(placed, 50).collect()
     from evenpart.operators.graphs import md5_coin
 
-    coins = {r.vid: (r.c, r.vid) for r in placed.select("vid", md5_coin(F.col("vid"), F.lit(42)).alias("c")).collect()}
+    coins = {r.vid: (r.c, r.vid) for r in placed.select("vid", md5_coin(F.col("vid"), F.lit("anchor:42")).alias("c")).collect()}
     for c in (1, 2):
         mine = sorted((v for v in coins if v % 2 + 1 == c), key=coins.get)[:50]
         assert {r.y for r in got if r.cls == c} == set(mine)
