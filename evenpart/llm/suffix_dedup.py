@@ -9,10 +9,10 @@ suffixes of 100 TB are not sorted together; they are dealt so that equal strings
    (delta-coded, a few bytes each) to hash-range buckets; a bucket answers with those that several documents have.
 3. *Suffix arrays.*  Around each shared anchor a group sends the 34 bytes before it and the 50 bytes from it on, once for
    all its documents with the same bytes (the smallest id stands for them).  A bucket sorts the right contexts
-   (a suffix array over anchors) and the reversed left contexts, with the common-prefix lengths of neighbours.  Cutting
-   the prefix array at length d gives the intervals of the common-prefix tree at depth d; for each shift t the intervals
-   at depth 50 - t are split by their left extension of t bytes where that is not unique.  What is left are the
-   groups of repeats with all their occurrences, and all but those with the smallest id are marked.
+   (a suffix array over anchors) and the reversed left contexts, with the common-prefix lengths of neighbours.  A scan
+   with a stack gives the intervals of the common-prefix tree of the right contexts; the entries of each are split by a
+   scan over their left extensions, down to where these differ.  What is left are the maximal repeat groups with all
+   their occurrences, and all but those with the smallest id are marked.
 4. *Cutting.*  The marked byte ranges return to their group, which removes them.
 
 A hot anchor (a line that a third of all documents hold) is found in step 2 from its counts; its contexts are sent as
@@ -42,6 +42,8 @@ LEFT = SPAN - GRAM
 #: Bytes of text in a group (a worker needs about 40 times that; raise it with the executors, to 256 MB for 100 TB, as the
 #: number of messages is groups times buckets), fewest groups, and occurrences that make an anchor hot.
 GROUP_BYTES, LEAST_GROUPS, HOT = 4 << 20, 24, 20_000
+#: Entries of common-prefix intervals that are split by their left extensions at once.
+LOT = 1 << 18
 NO_ID = np.iinfo(np.int64).max
 MESSAGE = "dest int, kind int, sender int, blob binary"
 CLEANED = "doc_id long, n_bytes long, kept binary, spans array<struct<start: long, stop: long>>"
@@ -275,43 +277,103 @@ def _ranges(doc: np.ndarray, start: np.ndarray, end: np.ndarray) -> bytes:
     return _zip(_planes(doc[first].astype(np.uint32)), _planes(start[first].astype(np.uint32)), _planes((reach[last] - far[last]).astype(np.uint32)))
 
 
-def _prefix_ranks(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted order of byte rows and the common-prefix length of each with the one before (0 for the first)."""
+def _prefix_ranks(rows: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted order of byte rows, of which the first ``size`` bytes count, and the common-prefix length of each with the one before (0 for the first)."""
     words = -(-rows.shape[1] // 8)
     wide = np.zeros((len(rows), 8 * words), np.uint8)
     wide[:, : rows.shape[1]] = rows
-    order = np.lexsort(wide.view(">u8").astype(np.uint64).T[::-1])
+    order = np.lexsort((size, *wide.view(">u8").astype(np.uint64).T[::-1]))
     differs = rows[order[1:]] != rows[order[:-1]]
     lcp = np.where(differs.any(axis=1), differs.argmax(axis=1), rows.shape[1])
-    return order, np.append(0, lcp) if len(rows) else lcp
+    return order, np.append(0, np.minimum(lcp, np.minimum(size[order[1:]], size[order[:-1]]))).astype(np.int8)
 
 
-def repeat_groups(context: np.ndarray, key: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def lcp_intervals(lcp: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Depth, begin and end of every interval of the common-prefix tree that is ``least`` deep or more, by one scan with a stack."""
+    found, stack = [], []
+    for i, depth in enumerate(np.append(np.where(lcp[1:] < least, -1, lcp[1:]), -1).tolist()):
+        begin = i
+        while stack and stack[-1][0] > depth:
+            d, begin = stack.pop()
+            found.append((d, begin, i + 1))
+        if depth >= 0 and (not stack or stack[-1][0] < depth):
+            stack.append((depth, begin))
+    return tuple(np.array(found, dtype=np.int64).reshape(-1, 3).T)
+
+
+class _RangeMin:
+    """Least value between two places, from the least values of all runs of a power of two."""
+
+    def __init__(self, values: np.ndarray) -> None:
+        self.runs, size = [values], 1
+        while 2 * size <= len(values):
+            self.runs.append(np.minimum(self.runs[-1][:-size], self.runs[-1][size:]))
+            size *= 2
+
+    def __call__(self, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
+        out = np.empty(len(begin), self.runs[0].dtype)
+        level = np.frexp(end - begin)[1] - 1
+        for k in np.unique(level).tolist():
+            at = np.flatnonzero(level == k)
+            out[at] = np.minimum(self.runs[k][begin[at]], self.runs[k][end[at] - (1 << k)])
+        return out
+
+
+def _within(size: np.ndarray) -> np.ndarray:
+    """0, 1, 2 and so on for each run of ``size``, run after run."""
+    return np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+
+
+def maximal_repeats(context: np.ndarray, left: np.ndarray, right: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Groups of entries with one repeat of ``SPAN`` bytes or more around their anchors: entries, sizes of groups, bytes before and from the anchor.
+
+    Entry i has ``left`` bytes before its anchor and ``right`` from it on.  A group holds all entries with its bytes, and
+    can be made longer on neither side without losing one of them, as far as the contexts reach.  To the right these are
+    the intervals of the common-prefix tree; the entries of an interval are split by a second scan over their left
+    extensions, whose intervals end where the bytes before differ; what still has one right extension is left to the
+    deeper interval.  Groups come in lots of intervals with some ``LOT`` entries.
+    """
+    right_order, right_lcp = _prefix_ranks(context[:, LEFT:], right)
+    left_order, left_lcp = _prefix_ranks(context[:, :LEFT][:, ::-1], left)
+    right_rank, left_rank = np.argsort(right_order), np.argsort(left_order)
+    right_least, left_least = _RangeMin(right_lcp), _RangeMin(left_lcp)
+    depth, begin, end = lcp_intervals(right_lcp, SPAN - LEFT)
+    lot = (np.cumsum(end - begin) - 1) // LOT
+    for _, part in _runs(lot):
+        size = (end - begin)[part]
+        node = np.repeat(np.arange(part.start, part.stop), size)
+        entry = right_order[np.repeat(begin[part], size) + _within(size)]
+        entry = entry[np.lexsort((left_rank[entry], node))]
+        rank = left_rank[entry]
+        same = np.flatnonzero(node[1:] == node[:-1])
+        shared = np.full(len(entry), -1, np.int8)
+        shared[same + 1] = left_least(rank[same] + 1, rank[same + 1] + 1)
+        shared[shared < SPAN - depth[node]] = -1
+        before, first, stop = lcp_intervals(shared, 0)
+        if not len(first):
+            continue
+        place, edges = np.append(right_rank[entry], 0), np.column_stack([first, stop]).ravel()
+        ends = np.minimum.reduceat(place, edges)[::2], np.maximum.reduceat(place, edges)[::2]
+        diverse = right_least(ends[0] + 1, ends[1] + 1) == depth[node[first]]
+        before, first, stop = before[diverse], first[diverse], stop[diverse]
+        count = stop - first
+        yield entry[np.repeat(first, count) + _within(count)], count, before, depth[node[first]]
+
+
+def later_shifts(context: np.ndarray, key: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Smallest and largest shift t at which an entry's string also stands under a smaller key (-1 where none does).
 
-    Entry i has ``left`` bytes before its anchor and ``right`` from it on; at shift t its string starts t bytes before.
+    At shift t an entry's string starts t bytes before its anchor.
     """
-    n = len(key)
-    low, high = np.full(n, -1, np.int16), np.full(n, -1, np.int16)
-    right_order, right_lcp = _prefix_ranks(context[:, LEFT:])
-    left_order, left_lcp = _prefix_ranks(context[:, :LEFT][:, ::-1])
-    interval, extension = np.empty(n, np.int64), np.empty(n, np.int64)
-    for t in range(LEFT + 1):
-        interval[right_order] = np.cumsum(right_lcp < SPAN - t)
-        size = np.bincount(interval)
-        some = np.flatnonzero((size[interval] > 1) & (left >= t) & (right >= SPAN - t))
-        if not len(some):
+    low, high = np.full(len(key), SPAN, np.int16), np.full(len(key), -1, np.int16)
+    for entry, count, before, after in maximal_repeats(context, left, right):
+        if not len(count):
             continue
-        extension[left_order] = np.cumsum(left_lcp < t)
-        node = interval[some] * (n + 1) + extension[some]
-        order = np.argsort(node, kind="stable")
-        node, ids = node[order], key[some[order]]
-        first = np.append(True, node[1:] != node[:-1])
-        least = np.minimum.reduceat(ids, np.flatnonzero(first))[np.cumsum(first) - 1]
-        late = some[order[ids > least]]
-        low[late] = np.where(low[late] < 0, t, low[late])
-        high[late] = t
-    return low, high
+        least = np.minimum.reduceat(key[entry], np.cumsum(count) - count)
+        late = key[entry] > np.repeat(least, count)
+        np.minimum.at(low, entry[late], np.repeat(np.maximum(SPAN - after, 0), count)[late].astype(np.int16))
+        np.maximum.at(high, entry[late], np.repeat(before, count)[late].astype(np.int16))
+    return np.where(high < 0, -1, low), high
 
 
 def _mark(table: pa.Table) -> pa.Table:
@@ -325,7 +387,7 @@ def _mark(table: pa.Table) -> pa.Table:
             entries.append((sender, np.frombuffer(p[0], np.uint8).reshape(-1, LEFT + SPAN), _unplanes(p[1], "<i8"), _unplanes(p[2], "<u4"), _unplanes(p[3], "<u4"), np.frombuffer(p[4], np.uint8), np.frombuffer(p[5], np.uint8)))
     if entries:
         key, doc, at, left, right = (np.concatenate([e[c] for e in entries]) for c in range(2, 7))
-        low, high = repeat_groups(np.concatenate([e[1] for e in entries]), key, left, right)
+        low, high = later_shifts(np.concatenate([e[1] for e in entries]), key, left, right)
         a = 0
         for e in entries:
             part = np.arange(a, a + len(e[2]))
