@@ -46,6 +46,7 @@ GROUP_BYTES, LEAST_GROUPS, HOT = 4 << 20, 24, 20_000
 LOT = 1 << 18
 NO_ID = np.iinfo(np.int64).max
 MESSAGE = "dest int, kind int, sender int, blob binary"
+REPEATS = "repeat string, doc_id long, start long, stop long"
 CLEANED = "doc_id long, n_bytes long, kept binary, spans array<struct<start: long, stop: long>>"
 
 
@@ -90,17 +91,23 @@ def _slide(x: np.ndarray, width: int, best) -> np.ndarray:
     return best(x[: len(x) - (width - size)], x[width - size :]) if size < width else x
 
 
+def _grams(bytes_: np.ndarray) -> np.ndarray:
+    """Hashes of the grams along the last axis."""
+    x, size = bytes_.astype(np.uint64), 1
+    with np.errstate(over="ignore"):
+        while size < GRAM:
+            x = (x[..., :-size] * np.uint64(0x9E3779B97F4A7C15) + x[..., size:] + np.uint64(1)) * np.uint64(0xBF58476D1CE4E5B9)
+            x ^= x >> np.uint64(31)
+            size *= 2
+    return x
+
+
 def anchors(buf: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Places and 48-bit hashes (never 0) of the anchors of the documents in ``buf``, which end at ``ends``."""
     n = len(buf)
     if n < SPAN:
         return np.empty(0, np.int64), np.empty(0, np.uint64)
-    x, size = buf.astype(np.uint64), 1
-    with np.errstate(over="ignore"):
-        while size < GRAM:
-            x = (x[:-size] * np.uint64(0x9E3779B97F4A7C15) + x[size:] + np.uint64(1)) * np.uint64(0xBF58476D1CE4E5B9)
-            x ^= x >> np.uint64(31)
-            size *= 2
+    x = _grams(buf)
     low = _slide(x, WIDTH, np.minimum)
     # a string that would cross the end of its document is none
     starts = np.append(0, ends[:-1])
@@ -207,8 +214,8 @@ def _answer(table: pa.Table, hot: int) -> pa.Table:
     return _messages(rows)
 
 
-def _contexts(group: Group, replies: pa.Table, sender: int, buckets: int) -> pa.Table:
-    """Step 3a: contexts of shared anchors, one for all documents of the group that have the same bytes."""
+def _contexts(group: Group, replies: pa.Table, sender: int, buckets: int, copies: bool = False) -> pa.Table:
+    """Step 3a: contexts of shared anchors, one for all documents of the group that have the same bytes; with ``copies``, also which places it stands for."""
     if not replies.num_rows:
         return _messages([])
     got = [_unzip(b) for b in replies.column("blob").to_pylist()]
@@ -229,6 +236,10 @@ def _contexts(group: Group, replies: pa.Table, sender: int, buckets: int) -> pa.
         strings.append(np.column_stack([a, np.full(len(a), doc[i])]))
     if strings:
         extra = np.unique(np.concatenate(strings), axis=0)
+        # only those whose own anchor is hot: the others are found under theirs
+        views, busy = np.lib.stride_tricks.sliding_window_view(group.buf, SPAN), np.unique(h[hot == 1])
+        own = [np.isin(_grams(views[extra[i : i + LOT // 8, 0]]).min(axis=1) >> np.uint64(16) | np.uint64(1), busy) for i in range(0, len(extra), LOT // 8)]
+        extra = extra[np.concatenate(own)]
         keep = hot == 0
         at, h, doc = np.append(at[keep], extra[:, 0]), np.append(h[keep], np.zeros(len(extra), np.uint64)), np.append(doc[keep], extra[:, 1])
         left, right = np.append(left[keep], np.zeros(len(extra), np.int64)), np.append(right[keep], np.full(len(extra), SPAN))
@@ -241,16 +252,26 @@ def _contexts(group: Group, replies: pa.Table, sender: int, buckets: int) -> pa.
     side = (left * 64 + right).tolist()
     order = np.argsort(doc, kind="stable").tolist()  # documents ascend by id: the first of equal contexts has the smallest
     seen: dict[tuple[bytes, int], int] = {}
-    send, own = [], []
+    send, own, of = [], [], []
     key, docs = group.key, doc.tolist()
     for i in order:
         k = (data[size * i : size * i + size], side[i])
         j = seen.setdefault(k, i)
-        (send if key[docs[j]] == key[docs[i]] else own).append(i)
+        if key[docs[j]] == key[docs[i]]:
+            send.append(i)
+        else:
+            own.append(i)
+            of.append(j)
     rows = []
     if own:  # an earlier document of this group has all of it
         o = np.array(own)
         rows.append((sender % buckets, 3, sender, _ranges(doc[o], at[o] - left[o] - group.starts[doc[o]], at[o] + right[o] - group.starts[doc[o]])))
+        if copies:
+            places = [_planes(x) for i in (np.array(of), o) for x in (doc[i].astype(np.uint32), (at[i] - group.starts[doc[i]]).astype(np.uint32))]
+            rows.append((sender % buckets, 4, sender, _zip(*places)))
+    several = np.zeros(len(at), np.uint8)
+    several[of] = 1
+    several[hot] |= 2
     s = np.array(send, dtype=np.int64)
     if len(s):
         # a hot string is dealt by a hash of its bytes
@@ -262,7 +283,7 @@ def _contexts(group: Group, replies: pa.Table, sender: int, buckets: int) -> pa.
         s, dest = s[order], dest[order]
         for b, part in _runs(dest):
             i = s[part]
-            rows.append((b, 2, sender, _zip(bytes_[i].tobytes(), _planes(group.key[doc[i]]), _planes(doc[i].astype(np.uint32)), _planes((at[i] - group.starts[doc[i]]).astype(np.uint32)), left[i].astype(np.uint8).tobytes(), right[i].astype(np.uint8).tobytes())))
+            rows.append((b, 2, sender, _zip(bytes_[i].tobytes(), _planes(group.key[doc[i]]), _planes(doc[i].astype(np.uint32)), _planes((at[i] - group.starts[doc[i]]).astype(np.uint32)), left[i].astype(np.uint8).tobytes(), right[i].astype(np.uint8).tobytes(), *[several[i].tobytes()] * copies)))
     return _messages(rows)
 
 
@@ -399,6 +420,62 @@ def _mark(table: pa.Table) -> pa.Table:
     return _messages(rows)
 
 
+def _name(table: pa.Table) -> pa.Table:
+    """Step 3b for ``repeats``: to each sender its entries of every maximal repeat group, under a hash of the group's bytes."""
+    rows, entries = [], []
+    for kind, sender, blob in zip(*(table.column(c).to_pylist() for c in ("kind", "sender", "blob")), strict=True):
+        if kind == 4:
+            rows.append((sender, 4, -1, blob))
+        elif kind == 2:
+            p = _unzip(blob)
+            n = len(p[5])
+            entries.append((np.full(n, sender), np.frombuffer(p[0], np.uint8).reshape(-1, LEFT + SPAN), _unplanes(p[2], "<u4"), _unplanes(p[3], "<u4"), *(np.frombuffer(x, np.uint8) for x in p[4:7])))
+    if not entries:
+        return _messages(rows)
+    sender, context, doc, at, left, right, several = (np.concatenate(x) for x in zip(*entries, strict=True))
+    # an entry that stands for several places is its own repeat, too
+    whole = np.repeat(np.arange(len(at)), 1 + (several & 1).astype(np.int64))
+    for entry, count, before, after in maximal_repeats(context[whole], left[whole], right[whole]):
+        group = np.repeat(np.arange(len(count)), count)
+        group, entry = np.unique(np.column_stack([group, whole[entry]]), axis=0).T
+        first = np.flatnonzero(np.append(True, group[1:] != group[:-1])) if len(group) else group
+        names, complete = [], np.zeros(len(count), bool)
+        np.logical_or.at(complete, group, several[entry] > 1)
+        for g, (i, a, b) in enumerate(zip(entry[first].tolist(), before.tolist(), after.tolist(), strict=True)):
+            bytes_ = context[i, LEFT - a : LEFT + b]
+            names.append(hashlib.blake2b(bytes_.tobytes(), digest_size=16).digest())
+            # other places of these bytes are sure to have this anchor if it is one within the bytes
+            complete[g] |= a in anchors(bytes_, np.array([a + b]))[0]
+        named = np.frombuffer(b"".join(names), np.uint8).reshape(-1, 16)
+        group, entry = group[complete[group]], entry[complete[group]]
+        order = np.argsort(sender[entry], kind="stable")
+        group, entry = group[order], entry[order]
+        for to, part in _runs(sender[entry]):
+            g, e = group[part], entry[part]
+            start = (at[e].astype(np.int64) - before[g]).astype(np.uint32)
+            rows.append((to, 5, -1, _zip(named[g].tobytes(), _planes(doc[e]), _planes(at[e]), _planes(start), _planes((before + after)[g].astype(np.uint32)))))
+    return _messages(rows)
+
+
+def _occurrences(group: Group, messages: pa.Table) -> pa.Table:
+    """Step 4 for ``repeats``: the places of all entries of the group, and of the copies that they stand for."""
+    copies: dict[tuple[int, int], list[tuple[int, int]]] = {}
+    named, out = [], []
+    for kind, blob in zip(messages.column("kind").to_pylist(), messages.column("blob").to_pylist(), strict=True):
+        p = _unzip(blob)
+        if kind == 5:
+            named.append(p)
+            continue
+        for d, a, e, b in zip(*(_unplanes(x, "<u4").tolist() for x in p), strict=True):
+            copies.setdefault((d, a), []).append((e, b))
+    for p in named:
+        for i, (d, a, start, size) in enumerate(zip(*(_unplanes(x, "<u4").tolist() for x in p[1:]), strict=True)):
+            for e, b in [(d, a), *copies.get((d, a), ())]:
+                out.append((p[0][16 * i : 16 * i + 16].hex(), group.ids[e], b - a + start, b - a + start + size))
+    cols = zip(*out, strict=True) if out else [[]] * 4
+    return pa.table({n: pa.array(c, t) for n, c, t in zip(("repeat", "doc_id", "start", "stop"), cols, (pa.string(), *[pa.int64()] * 3), strict=True)})
+
+
 def _cut(group: Group, marks: pa.Table) -> pa.Table:
     """Step 4: the kept bytes of every document of the group, and the spans taken out."""
     ranges: dict[int, list[tuple[int, int]]] = {}
@@ -423,10 +500,8 @@ def _cut(group: Group, marks: pa.Table) -> pa.Table:
     return pa.table({n.split(" ")[0]: pa.array(c, t) for n, c, t in zip(("doc_id", "n_bytes", "kept", "spans"), cols, kinds, strict=True)})
 
 
-def cleaned(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", group_bytes: int = GROUP_BYTES, hot: int = HOT) -> DataFrame:
-    """doc_id, n_bytes, kept, spans for every row of ``docs``: the bytes that stay, and the byte ranges taken out.
-
-    ``kept`` is binary, since a range may begin or end inside a character.
+def _dealt(docs: DataFrame, doc_id: str, text: str, group_bytes: int, hot: int, middle, last, schema: str, copies: bool = False) -> DataFrame:
+    """The four steps, with ``middle`` in the buckets and ``last`` on a group and what the buckets sent it.
 
     The documents' exchange is the same in the three steps that read it, so it runs once.
     """
@@ -442,15 +517,33 @@ def cleaned(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", group_b
         return _offer(Group(table), key[0].as_py(), buckets)
 
     def contexts(key, table, replies):
-        return _contexts(Group(table), replies, key[0].as_py(), buckets) if table.num_rows else _messages([])
+        return _contexts(Group(table), replies, key[0].as_py(), buckets, copies) if table.num_rows else _messages([])
 
-    def cutting(key, table, marks):
-        return _cut(Group(table), marks)
+    def finish(key, table, messages):
+        return last(Group(table), messages)
 
     replies = by_group.applyInArrow(offer, MESSAGE).groupBy("dest").applyInArrow(lambda t: _answer(t, hot), MESSAGE)
     sent = by_group.cogroup(replies.groupBy("dest")).applyInArrow(contexts, MESSAGE)
-    marks = sent.groupBy("dest").applyInArrow(lambda t: _mark(t), MESSAGE)
-    return by_group.cogroup(marks.groupBy("dest")).applyInArrow(cutting, CLEANED)
+    back = sent.groupBy("dest").applyInArrow(lambda t: middle(t), MESSAGE)
+    return by_group.cogroup(back.groupBy("dest")).applyInArrow(finish, schema)
+
+
+def cleaned(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", group_bytes: int = GROUP_BYTES, hot: int = HOT) -> DataFrame:
+    """doc_id, n_bytes, kept, spans for every row of ``docs``: the bytes that stay, and the byte ranges taken out.
+
+    ``kept`` is binary, since a range may begin or end inside a character.
+    """
+    return _dealt(docs, doc_id, text, group_bytes, hot, _mark, _cut, CLEANED)
+
+
+def repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", group_bytes: int = GROUP_BYTES, hot: int = HOT) -> DataFrame:
+    """repeat, doc_id, start, stop: the maximal repeat groups with all their occurrences, as byte ranges.
+
+    ``repeat`` is a hash of the group's bytes.  Groups are maximal within the window around their anchor, 34 bytes before
+    and 50 from it on; a longer passage is a chain of them, one for each of its anchors.  Strings around hot anchors are
+    groups of 50 bytes.  Anchors that a single document holds are not looked at.
+    """
+    return _dealt(docs, doc_id, text, group_bytes, hot, _name, _occurrences, REPEATS, copies=True).distinct()
 
 
 def remove_repeats(docs: DataFrame, **options) -> DataFrame:

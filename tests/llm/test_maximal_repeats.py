@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from evenpart.llm.suffix_dedup import LEFT, SPAN, later_shifts, lcp_intervals, maximal_repeats
+from evenpart.llm.suffix_dedup import LEFT, SPAN, later_shifts, lcp_intervals, maximal_repeats, repeats
 
 
 def contexts(seed, n=60):
@@ -52,3 +52,26 @@ def test_groups_and_marks(seed):
 def test_intervals_nest():
     found = sorted(zip(*(x.tolist() for x in lcp_intervals(np.array([0, 2, 3, 3, 1, 0, 4]), 1)), strict=True))
     assert found == [(1, 0, 5), (2, 0, 4), (3, 1, 4), (4, 5, 7)]
+
+
+@pytest.mark.parametrize("hot", [20_000, 3])
+def test_repeats_hold_all_occurrences(spark, hot):
+    """Every occurrence of a group has its bytes, and no other place has; together they cover all strings that two documents share."""
+    rng = np.random.default_rng(5)
+    words = ["".join(rng.choice(list("abcdefgh "), 70)) for _ in range(4)]
+    texts = {i: " ".join(rng.choice(words, rng.integers(1, 4))) + "".join(rng.choice(list("xyz"), rng.integers(0, 30))) for i in range(30)} | {40: "", 41: "wörd " + words[0]}
+    docs = spark.createDataFrame([*texts.items(), (42, None)], "doc_id long, text string")
+    raw = {i: t.encode() for i, t in texts.items()}
+    groups, covered = {}, set()
+    for r in repeats(docs, hot=hot).collect():
+        groups.setdefault(r["repeat"], set()).add((r.doc_id, r.start, r.stop))
+        covered |= {(r.doc_id, x) for x in range(r.start, r.stop - SPAN + 1)}
+    for places in groups.values():
+        (bytes_,) = {raw[d][a:b] for d, a, b in places}
+        assert len(bytes_) >= SPAN and len(places) > 1
+        assert places == {(d, a, a + len(bytes_)) for d, t in raw.items() for a in range(len(t)) if t.startswith(bytes_, a)}
+    held: dict = {}
+    for d, t in raw.items():
+        for a in range(len(t) - SPAN + 1):
+            held.setdefault(t[a : a + SPAN], set()).add((d, a))
+    assert covered >= {p for places in held.values() if len({d for d, _ in places}) > 1 for p in places} and covered
