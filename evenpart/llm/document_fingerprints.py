@@ -8,7 +8,8 @@ the set of k-mers stays: the likeness falls with edit distance, not with set dis
 elements is its own pool, so short texts have ordered components as long ones do.
 
 All of it happens inside a row with array functions on sorted packed longs; no k-mer becomes a row, and nothing
-leaves the JVM.  A text is fingerprinted once, and crosses one exchange with its fingerprint, to stand beside its successor.
+leaves the JVM.  A text crosses one exchange, to stand beside its successor, and is fingerprinted behind it, once; no
+table of texts is written.
 
 Defined results: null text is empty; a text of fewer than ``k`` words is one k-mer; a text of one k-mer has unordered
 components; an empty text has the empty fingerprint, like 1 to another empty one and 0 to the rest; elements that tie in
@@ -108,16 +109,19 @@ def likeness(a: Column, b: Column) -> Column:
     return _let(used, lambda u: F.when(F.size(u) == 0, F.lit(1.0)).otherwise(F.size(F.filter(u, lambda p: p["x"] == p["y"])) / F.size(u)))
 
 
-def with_next(rows: DataFrame, rows_per_bucket: int = ROWS_PER_BUCKET) -> DataFrame:
+def with_next(rows: DataFrame, rows_per_bucket: int = ROWS_PER_BUCKET, derived: dict[str, Column] | None = None) -> DataFrame:
     """``rows`` (doc_id, text, more) with ``following``: the struct of the next row by (doc_id, text), cyclic.
 
+    Columns ``derived`` from a row are added to it and to ``following``; they are made behind the exchange, once a row.
+
     Ids are cut into ranges at approximate quantiles, and each of these into equal steps, until a step has about
     ``rows_per_bucket`` rows; a window orders each step, and only the first row of every step travels to the step before.
     """
     n, low, high = rows.agg(F.count("*"), F.min("doc_id"), F.max("doc_id")).first()
-    whole = F.struct(*rows.columns)
+    more = derived or {}
+    given, whole = F.struct(*rows.columns), F.struct(*rows.columns, *more)
     if n == 0:
-        return rows.withColumn("following", whole)
+        return rows.withColumns(more).withColumn("following", whole)
     ranges = max(1, min(n // rows_per_bucket, FIRST_LEVEL))
     bounds = rows.agg(F.percentile_approx("doc_id", [i / ranges for i in range(1, ranges)], 10 * ranges).alias("b")).first()["b"] if ranges > 1 else []
     edges = sorted(set(bounds or []))
@@ -132,8 +136,9 @@ def with_next(rows: DataFrame, rows_per_bucket: int = ROWS_PER_BUCKET) -> DataFr
         step = F.lit(0)
     placed = rows.withColumn("range", index).withColumn("step", step.cast("int"))
     order = Window.partitionBy("range", "step").orderBy("doc_id", "text")
-    inner = placed.withColumn("following", F.lead(whole).over(order))
-    firsts = cut(placed.groupBy("range", "step").agg(F.min(whole).alias("first")))  # a row a step
+    inner = placed.repartition("range", "step").withColumns(more).withColumn("following", F.lead(whole).over(order))
+    heads_of = placed.groupBy("range", "step").agg(F.min(given).alias("first"))
+    firsts = cut(heads_of.select("range", "step", "first.*").withColumns(more).select("range", "step", whole.alias("first")))  # a row a step
     present = sorted(r["range"] for r in firsts.select("range").distinct().collect())  # FIRST_LEVEL + 1 numbers
     links = rows.sparkSession.createDataFrame([(present[(i + 1) % len(present)], r) for i, r in enumerate(present)], "range int, to int")
     heads = firsts.groupBy("range").agg(F.min_by("first", "step").alias("far")).join(F.broadcast(links), "range").select(F.col("to").alias("range"), "far")
@@ -157,11 +162,10 @@ def _rank(value: Column, edges: list) -> Column:
 def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """The columns of the digest for every row of ``docs``."""
     plain = docs.select(docs[doc_id].alias("doc_id"), F.coalesce(docs[text], F.lit("")).alias("text"))
-    rows = cut(plain.withColumn("own", fingerprint(F.col("text"))))  # several plans read it
     n, following = F.length("text"), F.col("following")
     q = F.floor(n / 4).cast("int")
     edited = F.concat(F.substring("text", F.lit(1), n - q), F.substring(following["text"], F.lit(1), q))
-    pair = with_next(rows, **options).select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), "own", following["own"].alias("next"))
+    pair = with_next(plain, derived={"own": fingerprint(F.col("text"))}, **options).select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), "own", following["own"].alias("next"))
     # bound inside an expression: a struct of it would be taken apart, and the fingerprint made once for each reader
     made = _let(fingerprint(F.col("edited")), lambda c: F.struct(c.alias("changed"), likeness(F.col("own"), c).alias("near")))
     return pair.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), "own", "next", made.alias("f")).select(

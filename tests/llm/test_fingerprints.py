@@ -90,3 +90,16 @@ def test_successor_over_uneven_ids(spark):
                 assert got == want
     finally:
         D.FIRST_LEVEL = first_level
+
+
+def test_no_table_of_texts_is_written(spark, monkeypatch):
+    """Texts cross one exchange; what is written for it is a row a step."""
+    written = []
+    monkeypatch.setattr(D, "cut", lambda df, own=D.cut: written.append(own(df)) or written[-1])
+    docs = spark.createDataFrame([(i, f"text {i} of many words") for i in range(64)], "doc_id long, text string")
+    got = {r.doc_id: r for r in D.fingerprints(docs, rows_per_bucket=16).collect()}
+    assert sum(df.count() for df in written) <= 8
+    own = {r.doc_id: r.fp for r in docs.select("doc_id", D.fingerprint(F.col("text")).alias("fp")).collect()}
+    assert all(got[i].fingerprint == own[i] for i in range(64))
+    both = spark.createDataFrame([(i, own[i], own[(i + 1) % 64]) for i in range(64)], "i int, a string, b string")
+    assert all(got[r.i].near_next == r.n for r in both.select("i", D.likeness(F.col("a"), F.col("b")).alias("n")).collect())
