@@ -9,7 +9,7 @@ from tests.conftest import SF
 QUERIES, _ = collected()
 
 
-@pytest.mark.parametrize("name, table, column", [("graph_planted", "lineitem", "l_partkey"), ("theory_table", "lineitem", "l_quantity"), ("loop_sizes", "orders", "o_custkey"), ("cte_recursive", "orders", "o_custkey")])
+@pytest.mark.parametrize("name, table, column", [("graph_planted", "lineitem", "l_partkey"), ("theory_table", "lineitem", "l_quantity"), ("loop_sizes", "orders", "o_custkey"), ("cte_recursive", "orders", "o_custkey"), ("io_planted_source", "lineitem", "l_partkey")])
 def test_rows_follow_the_table(spark, tmp_path, name, table, column):
     spark.read.parquet(f"{SF}/{table}.parquet").where(F.col(column) <= 20).write.parquet(f"{tmp_path}/{table}.parquet")
     some, all_ = ({tuple(r) for r in QUERIES[name](spark, path).collect()} for path in (str(tmp_path), SF))
