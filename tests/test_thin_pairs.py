@@ -59,3 +59,18 @@ def test_codegrees_of_few_anchors(thin, monkeypatch, few):
             if v != r.y and cls[v] == r.side and (n := sum(cls[x] == far for x in near[v] & near[r.y])):
                 want[r.s, r.t, r.side, r.y, v] = (n, n)
     assert {(r.s, r.t, r.side, r.y, r.vid): (r.n, r.h) for r in source._common(asked).collect()} == want
+
+
+def test_probe_in_one_pass(thin, monkeypatch):
+    cls, pairs, assign, edges = thin
+    whole = P.pair_density(edges, assign).where("s = 1 AND t = 2").first()["d"]
+    want = 0.0
+    for i in range(4):
+        half = [assign.where((F.col("cls") == c) & (md5_coin(F.col("vid"), F.lit(f"42:{i}:{side}")) < 0.5)) for c, side in ((1, "a"), (2, "b"))]
+        want = max(want, abs(P.rect_density(edges, *half).first()["d"] - whole))
+
+    def none(*_, **__):
+        raise AssertionError("a pass of its own")
+
+    monkeypatch.setattr(P, "rect_density", none)
+    assert abs(P.probe_gap(edges, assign, 1, 2, trials=4) - want) < 1e-12 and want > 0
