@@ -22,4 +22,4 @@ def test_pairs_cross_no_exchange(spark, monkeypatch, part):
     with contextlib.redirect_stdout(text):
         got.explain()
     plan = text.getvalue().splitlines()
-    assert next(line for line in plan if "Generate" in line or "Exchange" in line).strip(" +-:").startswith("Generate explode(b")
+    assert "Generate explode(b" in next(line for line in plan if "Generate" in line or "Exchange" in line)  # from the result down
